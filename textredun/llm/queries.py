@@ -6,6 +6,7 @@ from textredun.llm.common import documents
 from textredun.llm.exact_dedup import exact_dedup
 from textredun.llm.packing import pack_text
 from textredun.llm.sharding import assign_shards
+from textredun.llm.simhash import near_pairs
 
 NORM = "trim(replace(replace(text, chr(13) || chr(10), chr(10)), chr(13), chr(10)), ' ' || chr(9) || chr(10))"
 
@@ -38,6 +39,11 @@ SELECT doc_id, n_bytes, byte_start, least(byte_start // target, 63)::BIGINT AS s
 """
 
 
+def op4_simhash(spark, sf_dir):
+    """Near-duplicate pairs of documents."""
+    return near_pairs(documents(spark, sf_dir))
+
+
 def op8_packing(spark, sf_dir):
     """Every document's power-of-two pieces."""
     return pack_text(documents(spark, sf_dir))
@@ -57,7 +63,7 @@ FROM (SELECT * FROM whole UNION ALL SELECT * FROM bits)
 
 
 def queries():
-    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op8_packing": op8_packing}
+    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op4_simhash": op4_simhash, "op8_packing": op8_packing}
 
 
 def oracle_sql():
