@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from textredun.llm.common import documents
+from textredun.llm import toxicity
+from textredun.llm.common import documents, labels
 from textredun.llm.exact_dedup import exact_dedup
 from textredun.llm.packing import pack_text
 from textredun.llm.sharding import assign_shards
@@ -39,6 +40,12 @@ SELECT doc_id, n_bytes, byte_start, least(byte_start // target, 63)::BIGINT AS s
 """
 
 
+def op3_toxicity(spark, sf_dir):
+    """Offending sentences of the documents judged toxic, by a model trained on the labels."""
+    docs = documents(spark, sf_dir)
+    return toxicity.offending_sentences(docs, toxicity.train(docs, labels(spark, sf_dir)))
+
+
 def op4_simhash(spark, sf_dir):
     """Near-duplicate pairs of documents."""
     return near_pairs(documents(spark, sf_dir))
@@ -63,7 +70,7 @@ FROM (SELECT * FROM whole UNION ALL SELECT * FROM bits)
 
 
 def queries():
-    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op4_simhash": op4_simhash, "op8_packing": op8_packing}
+    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op3_toxicity": op3_toxicity, "op4_simhash": op4_simhash, "op8_packing": op8_packing}
 
 
 def oracle_sql():
