@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
+import types
 from collections.abc import Iterable
 
 import numpy as np
-import pyarrow as pa
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 
@@ -74,5 +75,9 @@ class Memo(dict):
         return value
 
 
-def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, type=f.type) for c, f in zip(columns, schema)], schema=schema)
+def kept(key, make):
+    """A value that a worker process makes once and keeps for its later tasks."""
+    held = sys.modules.setdefault("_kept_by_worker", types.ModuleType("_kept_by_worker")).__dict__
+    if key not in held:
+        held[key] = make()
+    return held[key]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from textredun.llm import toxicity
+from textredun.llm import bpe, licenses, quality, toxicity, warc
 from textredun.llm.common import documents, labels
 from textredun.llm.exact_dedup import exact_dedup
 from textredun.llm.packing import pack_text
@@ -51,6 +51,51 @@ def op4_simhash(spark, sf_dir):
     return near_pairs(documents(spark, sf_dir))
 
 
+def op5_bpe(spark, sf_dir):
+    """Every document's tokens, and whether they decode to its text."""
+    return bpe.encode(documents(spark, sf_dir), check=True)
+
+
+def op6_warc(spark, sf_dir):
+    """WARC records of the ARC files that hold the pages."""
+    return warc.arc_to_warc(warc.pages_as_arc(spark.read.parquet(f"{sf_dir}/pages.parquet"))).drop("record")
+
+
+# The digests of SQL are in hexadecimal; five digits of it are four of base 32.
+B32 = """'sha1:' || list_aggregate(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+  (((('0x' || substr({h}, ((i // 4) * 5 + 1)::INTEGER, 5))::BIGINT >> (15 - 5 * (i % 4))::INTEGER) & 31) + 1)::INTEGER, 1)), 'string_agg', '')"""
+UUID = """'<urn:uuid:' || substr({h}, 1, 8) || '-' || substr({h}, 9, 4) || '-5' || substr({h}, 14, 3) || '-'
+  || substr('89ab', ((('0x' || substr({h}, 17, 1))::INTEGER & 3) + 1)::INTEGER, 1) || substr({h}, 18, 3) || '-' || substr({h}, 21, 12) || '>'"""
+OP6_SQL = f"""
+WITH p AS (
+  SELECT page_id AS doc_id, (1 + page_id % 2)::INTEGER AS v, url, html,
+         strftime(TIMESTAMP '2001-01-01' + to_seconds(page_id), '%Y-%m-%dT%H:%M:%SZ') AS warc_date
+  FROM pages WHERE page_id IS NOT NULL AND url IS NOT NULL AND html IS NOT NULL),
+r AS (
+  SELECT doc_id, 0 AS record_no, v, 'warcinfo' AS warc_type, warc_date, 'filedesc://page-' || doc_id || '.arc' AS target_uri, '0.0.0.0' AS ip_address,
+         'application/warc-fields' AS content_type, NULL AS payload,
+         concat_ws(chr(13) || chr(10), 'software: arc converter', 'format: WARC File Format 1.0', 'isPartOf: page-' || doc_id || '.arc', 'arcVersion: ' || v, '') AS block
+  FROM p
+  UNION ALL
+  SELECT doc_id, 1, v, 'response', warc_date, url, '192.0.2.1', 'application/http; msgtype=response', html,
+         concat_ws(chr(13) || chr(10), 'HTTP/1.0 200 OK', 'Content-Type: text/html', '', html)
+  FROM p),
+h AS (SELECT *, sha1(block) AS hb, sha1(coalesce(payload, block)) AS hp FROM r),
+d AS (SELECT *, {B32.format(h="hb")} AS block_digest, {B32.format(h="hp")} AS payload_digest FROM h),
+n AS (SELECT *, sha1(concat_ws(chr(10), warc_type, target_uri, warc_date, block_digest)) AS hn FROM d)
+SELECT doc_id, record_no, v AS arc_version, warc_type, {UUID.format(h="hn")} AS record_id, warc_date, target_uri, ip_address, content_type,
+       strlen(block)::BIGINT AS content_length, strlen(coalesce(payload, block))::BIGINT AS payload_length,
+       block_digest, payload_digest, NULL::VARCHAR AS problem
+FROM n
+"""
+
+
+def op7_quality(spark, sf_dir):
+    """The documents that the quality trees keep, with their score."""
+    docs = documents(spark, sf_dir)
+    return quality.quality_filter(docs, quality.train(docs, labels(spark, sf_dir)), name="quality_score")
+
+
 def op8_packing(spark, sf_dir):
     """Every document's power-of-two pieces."""
     return pack_text(documents(spark, sf_dir))
@@ -69,9 +114,14 @@ FROM (SELECT * FROM whole UNION ALL SELECT * FROM bits)
 """
 
 
+def op10_licenses(spark, sf_dir):
+    """Every place in the documents that reads like a license notice."""
+    return licenses.scan_licenses(documents(spark, sf_dir))
+
+
 def queries():
-    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op3_toxicity": op3_toxicity, "op4_simhash": op4_simhash, "op8_packing": op8_packing}
+    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op3_toxicity": op3_toxicity, "op4_simhash": op4_simhash, "op5_bpe": op5_bpe, "op6_warc": op6_warc, "op7_quality": op7_quality, "op8_packing": op8_packing, "op10_licenses": op10_licenses}
 
 
 def oracle_sql():
-    return {"op1_exact_dedup": OP1_SQL, "op2_sharding": OP2_SQL, "op8_packing": OP8_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op2_sharding": OP2_SQL, "op6_warc": OP6_SQL, "op8_packing": OP8_SQL}

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textredun.llm.common import Memo, cut_lineage, fresh, mix64, offsets
+from textredun.llm.common import Memo, cut_lineage, fresh, kept, mix64, offsets
 
 RADIUS = 10
 CONFIRM = 20
@@ -90,7 +90,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("doc_id IS NOT NULL AND text IS NOT NULL")
 
     def run(batches):
-        code = Memo(lambda w: xxhash.xxh3_64_intdigest(w))
+        code = kept("word hashes", lambda: Memo(xxhash.xxh3_64_intdigest))
         for whole in batches:
             for b in (whole.slice(i, 1000) for i in range(0, whole.num_rows, 1000)):
                 fp, confirm, some = _fingerprints(b.column(1).to_pylist(), code)
