@@ -77,3 +77,19 @@ def test_components_follow_chains(spark):
     edges = [(i, i + 1) for i in range(1, 40)] + [(100, 90), (90, 95), (200, 201), (201, 200)]
     got = {r.doc_id: r.group_id for r in S.components(spark.createDataFrame(edges, "doc_a bigint, doc_b bigint")).collect()}
     assert got == {**{i: 1 for i in range(2, 41)}, 95: 90, 100: 90, 201: 200}
+
+
+def test_forest_connects_what_pairs_connect(spark):
+    rng = np.random.default_rng(9)
+    seeds = rng.integers(0, 2**64, 40, dtype=np.uint64)
+    fps = [int(s) for s in seeds]
+    for s in seeds:
+        x = int(s)
+        for _ in range(12):
+            x ^= 1 << int(rng.integers(64))
+            x ^= 1 << int(rng.integers(64))
+            fps.append(x)
+    rows = [(i, int(np.uint64(x).astype(np.int64)), 0) for i, x in enumerate(dict.fromkeys(fps))]
+    df = spark.createDataFrame(rows, S.FINGERPRINT_SCHEMA)
+    of = lambda e: {r.doc_id: r.group_id for r in S.components(e).collect()}
+    assert of(S.near_fingerprints(df, 6, 0)) == of(S.near_fingerprints(df, 6, 0, forest=True))

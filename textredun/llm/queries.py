@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from textredun.llm import bpe, licenses, quality, toxicity, warc
+from textredun.llm import bpe, licenses, lm, quality, toxicity, warc
 from textredun.llm.common import documents, labels
 from textredun.llm.exact_dedup import exact_dedup
 from textredun.llm.packing import pack_text
@@ -114,13 +114,18 @@ FROM (SELECT * FROM whole UNION ALL SELECT * FROM bits)
 """
 
 
+def op9_lm_scoring(spark, sf_dir):
+    """Log probability and perplexity of every document under a model of all documents."""
+    return lm.score(documents(spark, sf_dir))
+
+
 def op10_licenses(spark, sf_dir):
     """Every place in the documents that reads like a license notice."""
     return licenses.scan_licenses(documents(spark, sf_dir))
 
 
 def queries():
-    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op3_toxicity": op3_toxicity, "op4_simhash": op4_simhash, "op5_bpe": op5_bpe, "op6_warc": op6_warc, "op7_quality": op7_quality, "op8_packing": op8_packing, "op10_licenses": op10_licenses}
+    return {"op1_exact_dedup": op1_exact_dedup, "op2_sharding": op2_sharding, "op3_toxicity": op3_toxicity, "op4_simhash": op4_simhash, "op5_bpe": op5_bpe, "op6_warc": op6_warc, "op7_quality": op7_quality, "op8_packing": op8_packing, "op9_lm_scoring": op9_lm_scoring, "op10_licenses": op10_licenses}
 
 
 def oracle_sql():

@@ -186,10 +186,26 @@ def search(home: np.ndarray, guest: np.ndarray, block: int, block_radius: int, r
                 yield i[ok], j[ok]
 
 
-def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int = LEVELS) -> DataFrame:
+def least_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """For each of n nodes, the smallest node that a path along the edges (i, j) leads to."""
+    low = np.arange(n)
+    while True:
+        before = low.copy()
+        least = np.minimum(low[i], low[j])
+        np.minimum.at(low, i, least)
+        np.minimum.at(low, j, least)
+        low = low[low]
+        if (low == before).all():
+            return low
+
+
+def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int = LEVELS, forest: bool = False) -> DataFrame:
     """All pairs of distinct (``doc_id, fp, confirm``) rows within ``radius`` bits in ``fp`` and ``confirm`` bits in ``confirm``.
 
     Gives ``doc_a < doc_b, distance``.  ``folded`` is read twice: pass something materialised.
+    With ``forest``, each shard gives only one link (distance NULL) for each document that
+    its pairs connect to one with a smaller id: paths lead to the same documents, but the rows grow with the
+    documents, not with their pairs.
     """
     if not 0 <= radius < 64:
         raise ValueError("radius must be from 0 to 63")
@@ -256,8 +272,15 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
             home, guest = (np.concatenate(x) if x else none for x in shards.pop(s))
             tree = int(np.searchsorted(base, s, side="right")) - 1
             both = np.concatenate([home, guest])
+            low = np.arange(len(both))
             for i, j in search(home["fp"], guest["fp"], tree, block_radius, radius):
                 ok = np.bitwise_count(both["confirm"][i] ^ both["confirm"][j]) <= confirm
+                if forest:
+                    apart = low[i] != low[j]
+                    if (ok & apart).any():
+                        fold_in = least_reachable(len(both), low[i[ok & apart]], low[j[ok & apart]])
+                        low = fold_in[low]
+                    continue
                 i, j = both[i[ok]], both[j[ok]]
                 if len(i):
                     yield pa.RecordBatch.from_arrays(
@@ -265,6 +288,13 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
                         ["doc_a", "doc_b", "distance"],
                     )
 
+            if forest and (low != np.arange(len(both))).any():
+                least = both["id"].copy()
+                np.minimum.at(least, low, both["id"])
+                ids, least = both["id"], least[low]
+                linked = ids > least
+                yield pa.RecordBatch.from_arrays([pa.array(least[linked]), pa.array(ids[linked]), pa.nulls(int(linked.sum()), pa.int32())], ["doc_a", "doc_b", "distance"])
+
     shards = folded.select("doc_id", "fp", "confirm").mapInArrow(route, "shard int, guest boolean, rows binary")
     return shards.repartition(int(base[-1]), "shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
 
@@ -334,7 +364,7 @@ def near_dedup(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id
     """
     prints = cut_lineage(fingerprints(docs, id_col, text_col))
     folded = cut_lineage(fold(prints))
-    groups = components(near_fingerprints(folded, radius, confirm))
+    groups = components(near_fingerprints(folded, radius, confirm, forest=True))
     lead = folded.join(groups, "doc_id", "left").select("fp", "confirm", F.coalesce("group_id", "doc_id").alias("lead"))
     gone, other = fresh(docs, "gone", "other")
     dropped = prints.join(lead, ["fp", "confirm"]).where("doc_id <> lead").select(F.col("doc_id").alias(gone)).distinct()
