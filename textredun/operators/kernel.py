@@ -8,8 +8,12 @@ name of its 1-grams, which keeps texts apart in one sort.
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 
+TOKEN = re.compile(r"[^ \t\n\x0b\f\r]+")  # what Java's \s parts, so that all strategies agree
+
 
 def code_points(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(code points of all texts, ends of texts)."""
@@ -35,7 +39,7 @@ def units_of(texts: list[str], unit: str) -> tuple[np.ndarray, np.ndarray]:
     if unit == "char":
         return code_points(texts)
     if unit == "token":
-        return numbered([t.split() for t in texts])
+        return numbered([TOKEN.findall(t) for t in texts])
     if unit == "line":
         return numbered([t.split("\n") for t in texts])
     raise ValueError(f"unknown unit {unit!r}")

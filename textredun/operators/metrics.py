@@ -17,6 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from textredun.functions.signature import Setting, signature
+from textredun.operators.spectrum import id_field
 
 TINY = 1e-12
 
@@ -205,7 +206,7 @@ def score(spectra: DataFrame, settings: Setting | Sequence[Setting], models: dic
                     ["doc_id", "signature", "n_total", "score", "valid"],
                 )
 
-    return spectra.select("doc_id", "unit", "n", "n_total", "n_types", "spectrum").mapInArrow(run, "doc_id bigint, signature string, n_total bigint, score double, valid boolean")
+    return spectra.select("doc_id", "unit", "n", "n_total", "n_types", "spectrum").mapInArrow(run, f"{id_field(spectra)}, signature string, n_total bigint, score double, valid boolean")
 
 
 # --- the same in array functions -----------------------------------------------------------------------

@@ -18,7 +18,7 @@ from pyspark.sql.window import Window
 from textredun.operators import kernel
 
 CAP = 5000
-SCHEMA = "doc_id bigint, unit string, n int, n_total bigint, n_types bigint, spectrum array<struct<c: bigint, v: bigint>>"
+COLUMNS = "unit string, n int, n_total bigint, n_types bigint, spectrum array<struct<c: bigint, v: bigint>>"
 Spec = tuple[str, int]
 
 
@@ -28,6 +28,11 @@ def require_columns(df: DataFrame, *names: str) -> None:
         raise ValueError(f"missing columns {missing}; there are {df.columns}")
 
 
+def id_field(df: DataFrame) -> str:
+    """``doc_id`` with its type: identifiers of any type are carried through."""
+    return f"doc_id {df.schema['doc_id'].dataType.simpleString()}"
+
+
 def capped(text: Column, cap: int | None = CAP) -> Column:
     """The first ``cap`` code points."""
     return text if cap is None else F.substring(text, 1, cap)
@@ -73,7 +78,7 @@ def grams_of(text: Column, unit: str, n: int) -> Column:
 
 def _texts(df: DataFrame, cap: int | None, id_col: str, text_col: str) -> DataFrame:
     require_columns(df, id_col, text_col)
-    return df.select(F.col(id_col).cast("bigint").alias("doc_id"), capped(F.col(text_col), cap).alias("text"))
+    return df.select(F.col(id_col).alias("doc_id"), capped(F.col(text_col), cap).alias("text"))
 
 
 def _arrow(rows: DataFrame, specs: Sequence[Spec], chunk: int = 100) -> DataFrame:
@@ -94,7 +99,7 @@ def _arrow(rows: DataFrame, specs: Sequence[Spec], chunk: int = 100) -> DataFram
                             ["doc_id", "unit", "n", "n_total", "n_types", "spectrum"],
                         )
 
-    return rows.mapInArrow(run, SCHEMA)
+    return rows.mapInArrow(run, f"{id_field(rows)}, {COLUMNS}")
 
 
 def _bind(value: Column, use) -> Column:
@@ -177,11 +182,12 @@ def window_ttr(df: DataFrame, unit: str = "token", width: int = 50, stride: int
         for b in batches:
             windows, score = [], []
             for t in b.column(1).to_pylist():
-                u = (list(t) if unit == "char" else t.split() if unit == "token" else t.split("\n")) if t else []
+                u = (list(t) if unit == "char" else kernel.TOKEN.findall(t) if unit == "token" else t.split("\n")) if t else []
                 starts = range(0, max(len(u) - width, 0) + 1, stride) if u else ()
                 shares = [len(set(u[s : s + width])) / len(u[s : s + width]) for s in starts]
                 windows.append(len(shares))
                 score.append(sum(shares) / len(shares) if shares else None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(windows, pa.int64()), pa.array(score, pa.float64())], ["doc_id", "n_windows", "score"])
 
-    return _texts(df, cap, id_col, text_col).mapInArrow(run, "doc_id bigint, n_windows bigint, score double")
+    rows = _texts(df, cap, id_col, text_col)
+    return rows.mapInArrow(run, f"{id_field(rows)}, n_windows bigint, score double")
