@@ -9,6 +9,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from textredun.functions.signature import parse_signature
 from textredun.operators import kernel, metrics
@@ -25,7 +26,7 @@ def score_texts(texts: list[str | None], name: str) -> list[float | None]:
     return out
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def redundancy(text: pd.Series, name: pd.Series) -> pd.Series:
     out = pd.Series([None] * len(text), dtype="float64")
     for one, rows in text.groupby(name.to_numpy()).groups.items():
@@ -33,7 +34,7 @@ def redundancy(text: pd.Series, name: pd.Series) -> pd.Series:
     return out
 
 
-@F.udtf(returnType="gram string, position int")
+@F.udtf(returnType=T.StructType().add("gram", T.StringType()).add("position", T.IntegerType()))
 class Ngrams:
     """``ngrams(text, unit, n)``: every n-gram of a text with where it begins, from 1."""
 
@@ -45,7 +46,7 @@ class Ngrams:
                 yield glue.join(units[i : i + n]), i + 1
 
 
-@F.udtf(returnType="c bigint, v bigint")
+@F.udtf(returnType=T.StructType().add("c", T.LongType()).add("v", T.LongType()))
 class Spectrum:
     """``spectrum(text, unit, n)``: how many distinct n-grams (v) occur how often (c)."""
 

@@ -116,6 +116,7 @@ def grid_results(docs: DataFrame, labels: DataFrame, settings: Sequence[Setting]
     """
     classes = tasks.classified(docs, labels).where("label_class <> 'unsure'")
     scored = metrics.score(spectra(classes, sorted({s.spec for s in settings})), settings)
+    scored = scored.withColumn("score", F.round(F.col("score") + 1e-10, 6))  # equal scores stay equal whatever the order of sums
     halves = None
     for name in task_names:
         one = tasks.task(classes, name).select("doc_id", "half", "is_natural", "weight").withColumn("task", F.lit(name))

@@ -267,7 +267,7 @@ def small_grid(task, spark, sf_dir):
 def _weighted_sql(task: str) -> str:
     """CTEs for the rows of a task with scores of the small grid and weights."""
     names = ", ".join(f"'{c}'" for c in tasks.TASKS[task])
-    scores = "\nUNION ALL\n".join(f"SELECT doc_id, '{signature(s)}' AS signature, score FROM ({score_query_sql(s)}) WHERE score IS NOT NULL" for s in SMALL_GRID)
+    scores = "\nUNION ALL\n".join(f"SELECT doc_id, '{signature(s)}' AS signature, round(score + 1e-10, 6) AS score FROM ({score_query_sql(s)}) WHERE score IS NOT NULL" for s in SMALL_GRID)
     return f"""{CLASSES_SQL}, {prof_sql()}, scores AS ({scores}),
 rows_ AS (SELECT doc_id, half, label_class = 'natural' AS good, 0.5 / count(*) OVER (PARTITION BY half, label_class = 'natural') AS weight FROM classes WHERE label_class IN ({names})),
 joined AS (SELECT * FROM scores JOIN rows_ USING (doc_id))"""
@@ -300,7 +300,7 @@ SELECT signature, round(threshold + 1e-10, 6) AS threshold, round(value + 1e-10,
 def threshold_curve(spark, sf_dir):
     """F1 and P4 at every threshold of the moment score, on the noise task."""
     rows = tasks.task(classes_of(spark, sf_dir).where("label_class <> 'unsure'"), "noise").select("doc_id", "text", "half", "is_natural", "weight")
-    s = scored(rows, MOMENT6).join(rows.drop("text"), "doc_id").where("half = 'tune'")
+    s = rounded(scored(rows, MOMENT6), "score").join(rows.drop("text"), "doc_id").where("half = 'tune'")
     return tuning.threshold_curve(s).select(F.round(F.col("threshold") + NUDGE, 6).alias("threshold"), F.round(measures.f1() + NUDGE, 6).alias("f1"), F.round(measures.p4() + NUDGE, 6).alias("p4"))
 
 
@@ -324,7 +324,7 @@ SELECT task, tp, fp, round(tp / (tp + fp) + 1e-10, 6) AS precision, 1.0::DOUBLE
 def operating_points(spark, sf_dir):
     """The two released thresholds of the moment score: best F1 with equal classes, best P4 with three quarters natural."""
     c = classes_of(spark, sf_dir).where("label_class <> 'unsure'").withColumn("is_natural", F.col("label_class") == "natural")
-    s = scored(c, MOMENT6).join(c.select("doc_id", "is_natural"), "doc_id")
+    s = rounded(scored(c, MOMENT6), "score").join(c.select("doc_id", "is_natural"), "doc_id")
     both = [tuning.operating_point(s, k) for k in ("balanced_f1", "clean75_p4")]
     return rounded(both[0].unionByName(both[1]), "threshold", "value")
 
@@ -335,7 +335,7 @@ def _point_sql(kind: str, share: float, objective: str) -> str:
 
 
 POINTS_SQL = f"""WITH {CLASSES_SQL}, {prof_sql()}, base AS (
-  SELECT '{signature(MOMENT6)}' AS signature, score, label_class = 'natural' AS good FROM ({moment_sql(MOMENT6)}) JOIN classes USING (doc_id) WHERE label_class <> 'unsure' AND score IS NOT NULL)
+  SELECT '{signature(MOMENT6)}' AS signature, round(score + 1e-10, 6) AS score, label_class = 'natural' AS good FROM ({moment_sql(MOMENT6)}) JOIN classes USING (doc_id) WHERE label_class <> 'unsure' AND score IS NOT NULL)
 {_point_sql("balanced_f1", 0.5, F1_SQL)} UNION ALL {_point_sql("clean75_p4", 0.75, P4_SQL)}"""
 
 
