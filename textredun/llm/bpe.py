@@ -115,7 +115,9 @@ class Bpe:
         token = [self.single[b] for b in raw]
         n = len(token)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        new = [(r, i) for i, pair in enumerate(zip(token, token[1:])) if (r := pair_rank[pair]) >= 0]
+        rank_at = [pair_rank[pair] for pair in zip(token, token[1:])]  # of the pair that begins here; -1: none
+        rank_at.append(-1)
+        new = [(r, i) for i, r in enumerate(rank_at) if r >= 0]
         while True:
             for r, i in new:
                 if r in buckets:
@@ -131,18 +133,23 @@ class Bpe:
                 return tuple([t for t in token if t >= 0])
             rank, i = queue.pop()
             new = ()
-            t = token[i]
-            if t < 0 or (j := after[i]) >= n or pair_rank[t, token[j]] != rank:
+            if rank_at[i] != rank:
                 continue  # stale: the pair has been merged away or changed
-            token[i], token[j] = rank, -1
+            j = after[i]
+            token[i], token[j], rank_at[j] = rank, -1, -1
             k = after[i] = after[j]
-            h = before[i]
             if k < n:
                 before[k] = i
-                if (r := pair_rank[rank, token[k]]) >= 0:
+                r = rank_at[i] = pair_rank[rank, token[k]]
+                if r >= 0:
                     new = ((r, i),)
-            if h >= 0 and (r := pair_rank[token[h], rank]) >= 0:
-                new = (*new, (r, h))
+            else:
+                rank_at[i] = -1
+            h = before[i]
+            if h >= 0:
+                r = rank_at[h] = pair_rank[token[h], rank]
+                if r >= 0:
+                    new = (*new, (r, h))
 
     def packed_piece(self, piece: str) -> bytes:
         ids = self.encode_piece(piece)
