@@ -38,6 +38,11 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tasks_for(spark: SparkSession, pieces: int) -> int:
+    """Tasks for so many pieces of work: one each, but no more than the session's shuffle partitions."""
+    return max(1, min(pieces, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

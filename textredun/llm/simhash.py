@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textredun.llm.common import Memo, cut_lineage, fresh, kept, mix64, offsets
+from textredun.llm.common import Memo, cut_lineage, fresh, kept, mix64, offsets, tasks_for
 
 RADIUS = 10
 CONFIRM = 20
@@ -296,7 +296,7 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
                 yield pa.RecordBatch.from_arrays([pa.array(least[linked]), pa.array(ids[linked]), pa.nulls(int(linked.sum()), pa.int32())], ["doc_a", "doc_b", "distance"])
 
     shards = folded.select("doc_id", "fp", "confirm").mapInArrow(route, "shard int, guest boolean, rows binary")
-    return shards.repartition(int(base[-1]), "shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
+    return shards.repartition(tasks_for(folded.sparkSession, int(base[-1])), "shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
 
 
 def fold(prints: DataFrame) -> DataFrame:
