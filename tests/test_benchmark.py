@@ -78,6 +78,12 @@ def test_filter_and_partition(spark):
     assert {r.doc_id: r.is_natural for r in tuning.partition_by_verdict(docs, scored, 2.0).collect()} == {1: False, 2: True, 3: None, 4: None}
 
 
+def test_thresholds_as_of_a_time(spark):
+    scored = spark.createDataFrame([(i, "s", 1.0, at) for i, at in enumerate([1, 5, 6, 9])] + [(9, "t", 1.0, 9)], "doc_id bigint, signature string, score double, at int")
+    versions = spark.createDataFrame([("s", 0.5, 5), ("s", 0.7, 8)], "signature string, threshold double, at int")
+    assert {r.doc_id: r.threshold for r in tuning.threshold_as_of(scored, versions).collect()} == {0: None, 1: 0.5, 2: 0.5, 3: 0.7, 9: None}
+
+
 def test_corpus_report_adds_up(spark):
     rows = spark.createDataFrame([("clean", "high", "en", 1.0), ("clean", "high", "en", 3.0), ("clean", "low", "fr", 5.0), ("noisy", "low", "fr", None)], "split string, tier string, lang string, x double")
     got = {(r.split, r.tier): (r.n_docs, r.micro_x, r.macro_x) for r in corpus.corpus_report(rows, ["x"]).collect()}

@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from textredun.functions.signature import Setting, signature
 from textredun.operators.spectrum import id_field
+from textredun.operators.spectrum import spectra as spectra_of_docs
 
 TINY = 1e-12
 
@@ -273,6 +274,12 @@ def native_score(spectra: DataFrame, s: Setting, g: Callable[[Column], Column] |
     return spectra.withColumn(name, F.when(F.col("n_total") > 0, out))
 
 
+def capped_ttr(docs: DataFrame, n: int = 6, most: int = 2000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``doc_id, n_total, score``: 1 - V/N over the first ``most`` character n-grams only, which makes long documents comparable."""
+    first = spectra_of_docs(docs, [("char", n)], cap=most + n - 1, id_col=id_col, text_col=text_col)
+    return native_score(first, Setting(metric="ttr", n=n, cap=most + n - 1)).select("doc_id", "n_total", "score")
+
+
 def ensemble(scored: DataFrame, how: str = "mean", stats: DataFrame | None = None) -> DataFrame:
     """``doc_id, n_scores, score``: the mean of a document's valid scores over settings.
 

@@ -65,6 +65,19 @@ def evaluate(scored: DataFrame, thresholds: DataFrame, by: Sequence[str] = KEY)
     return ms.measures(ms.confusion(said, *by))
 
 
+def threshold_as_of(scored: DataFrame, versions: DataFrame, time: str = "at", by: Sequence[str] = KEY) -> DataFrame:
+    """``scored`` (with a time column) and the ``threshold`` of the latest of ``versions`` (same columns, and ``threshold``) that is no later.
+
+    Both go through one window by setting and time, versions first at equal times; rows before the first version get NULL.
+    """
+    by = list(by)
+    left = scored.select(F.struct("*").alias("row"), *by, time, F.lit(None).cast("double").alias("threshold"), F.lit(1).alias("turn"))
+    right = versions.select(F.lit(None).cast(left.schema["row"].dataType).alias("row"), *by, time, F.col("threshold").cast("double"), F.lit(0).alias("turn"))
+    seen = Window.partitionBy(*by).orderBy(time, "turn").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    both = left.unionByName(right).withColumn("threshold", F.last("threshold", ignorenulls=True).over(seen))
+    return both.where("turn = 1").select("row.*", "threshold")
+
+
 def constant_baseline(rows: DataFrame) -> DataFrame:
     """Measures of calling everything natural."""
     return ms.measures(ms.confusion(rows.withColumn("predicted", F.lit(True))))

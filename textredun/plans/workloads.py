@@ -50,12 +50,12 @@ def many_scores(settings: list[Setting], spark: SparkSession, sf_dir: str) -> Da
 # --- SQL pieces --------------------------------------------------------------------------------------
 
 
-def prof_sql(unit: str = "char", n: int = 6, docs: str = "SELECT doc_id, text FROM documents", tag: str = "") -> str:
+def prof_sql(unit: str = "char", n: int = 6, docs: str = "SELECT doc_id, text FROM documents", tag: str = "", cap: int = 5000) -> str:
     """CTEs docs, prof (doc_id, c per n-gram) and tot (doc_id, n_total, n_types)."""
     if unit == "char":
-        units, size, gram = "substr(text, 1, 5000) AS t", "length(t)", f"substr(t, i, {n})"
+        units, size, gram = f"substr(text, 1, {cap}) AS t", "length(t)", f"substr(t, i, {n})"
     else:
-        units, size, gram = "list_filter(regexp_split_to_array(substr(text, 1, 5000), '\\s+'), lambda x: x <> '') AS t", "len(t)", f"array_to_string(t[i:i + {n - 1}], ' ')"
+        units, size, gram = f"list_filter(regexp_split_to_array(substr(text, 1, {cap}), '\\s+'), lambda x: x <> '') AS t", "len(t)", f"array_to_string(t[i:i + {n - 1}], ' ')"
     return f"""docs{tag} AS (SELECT doc_id, {units} FROM ({docs})),
 prof{tag} AS (SELECT doc_id, g, count(*)::DOUBLE AS c FROM (
   SELECT doc_id, {gram} AS g FROM docs{tag}, unnest(range(1, {size}::BIGINT - {n} + 2)) AS u(i)) GROUP BY doc_id, g),
@@ -209,6 +209,28 @@ SELECT d.doc_id, coalesce(n_windows, 0)::BIGINT AS n_windows, round(score + 1e-1
   SELECT doc_id, count(*) AS n_windows, avg(len(list_distinct(u))::DOUBLE / len(u)) AS score FROM x GROUP BY doc_id) USING (doc_id)"""
 
 
+def ttr_capped(spark, sf_dir):
+    """1 - V/N of the first 500 6-grams of every document."""
+    return rounded(metrics.capped_ttr(table(spark, sf_dir, "documents"), 6, 500), "score")
+
+
+def verdict_changes(spark, sf_dir):
+    """Documents on which two settings disagree, by the verdicts at the fixed threshold."""
+    docs = table(spark, sf_dir, "documents")
+    one, two = (tuning.classify(scored(docs, s), CUT).select("doc_id", "is_natural") for s in (MOMENT6, MOMENT6.but(asymptote=500.0)))
+    return one.exceptAll(two)
+
+
+CHANGES_SQL = f"""WITH {prof_sql()} SELECT doc_id, score <= {CUT} AS is_natural FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id)
+EXCEPT ALL SELECT doc_id, score <= {CUT} AS is_natural FROM documents LEFT JOIN ({moment_sql(MOMENT6.but(asymptote=500.0))}) USING (doc_id)"""
+
+
+def worst_documents(spark, sf_dir):
+    """The twenty most repetitive documents."""
+    s = rounded(scored(table(spark, sf_dir, "documents"), MOMENT6).where("valid").select("doc_id", "score"), "score")
+    return s.orderBy(F.desc("score"), "doc_id").limit(20)
+
+
 def zipf_empirical(spark, sf_dir):
     """Squared distance from the mean ranks of natural English documents instead of 1 / rank."""
     docs = table(spark, sf_dir, "documents")
@@ -589,6 +611,9 @@ NAMED = {
     "spectra_native": (partial(strategy_twin, "native"), TWIN_SQL),
     "spectra_relational": (partial(strategy_twin, "relational"), TWIN_SQL),
     "window_ttr": (window_ttr, WINDOW_SQL),
+    "ttr_capped": (ttr_capped, f"WITH {prof_sql(cap=505)}\n{all_docs_sql(score_query_sql(TTR6))}"),
+    "verdict_changes": (verdict_changes, CHANGES_SQL),
+    "worst_documents": (worst_documents, f"SELECT doc_id, score FROM ({one_score_sql(MOMENT6)}) WHERE score IS NOT NULL ORDER BY score DESC, doc_id LIMIT 20"),
     "zipf_empirical": (zipf_empirical, ZIPF_EMPIRICAL_SQL),
     "rank_model_fit": (rank_model_fit, FIT_SQL),
     "ensemble_char_token": (ensemble_char_token, ENSEMBLE_SQL),
