@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from textredun.operators.spectrum import CAP, capped, tokens
+from textredun.sources.documents import spread
 
 TASKS = {"repeat": ("natural", "repetitive"), "noise": ("natural", "repetitive", "noise")}
 
@@ -26,7 +27,7 @@ def classified(docs: DataFrame, labels: DataFrame, cap: int | None = CAP) -> Dat
     never part.
     """
     y = labels.groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    rows = docs.select("doc_id", capped(F.col("text"), cap).alias("text"), "lang", F.md5("text").alias("digest")).join(y, "doc_id", "left")
+    rows = spread(docs.select("doc_id", "text", "lang")).select("doc_id", capped(F.col("text"), cap).alias("text"), "lang", F.md5("text").alias("digest")).join(y, "doc_id", "left")
     label = F.when(F.col("quality") == 1, "natural").when(F.col("quality").isNull(), "unsure").when(stutter_share(F.col("text")) > 0.3, "repetitive").otherwise("noise")
     return rows.select("doc_id", "text", "lang", label.alias("label_class"), half_of(F.col("digest")).alias("half"))
 

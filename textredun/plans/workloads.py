@@ -29,7 +29,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def scored(docs: DataFrame, settings, cap: int | None = 5000) -> DataFrame:
     settings = [settings] if isinstance(settings, Setting) else settings
-    return metrics.score(sp.spectra(docs, sorted({s.spec for s in settings}), cap=cap), settings)
+    return metrics.score(sp.spectra(src.spread(docs.select("doc_id", "text")), sorted({s.spec for s in settings}), cap=cap), settings)
 
 
 def rounded(df: DataFrame, *names: str) -> DataFrame:
@@ -179,7 +179,7 @@ def language_cover(spark, sf_dir):
 
 def profile_char6(spark, sf_dir):
     """6-grams, distinct ones and distinct counts of every document."""
-    x = sp.spectra(table(spark, sf_dir, "documents"), [("char", 6)])
+    x = sp.spectra(src.spread(table(spark, sf_dir, "documents").select("doc_id", "text")), [("char", 6)])
     return x.select("doc_id", "n_total", "n_types", F.size("spectrum").cast("bigint").alias("n_levels"), F.round(F.try_divide("n_types", "n_total") + NUDGE, 6).alias("distinct_share"))
 
 
@@ -235,7 +235,8 @@ def zipf_empirical(spark, sf_dir):
     """Squared distance from the mean ranks of natural English documents instead of 1 / rank."""
     docs = table(spark, sf_dir, "documents")
     clean = docs.where("lang = 'en'").join(table(spark, sf_dir, "labels").where("quality = 1"), "doc_id", "left_semi")
-    models = metrics.empirical_models(sp.spectra(clean, [("char", 4)]))
+    models = metrics.empirical_models(sp.spectra(src.spread(clean.select("doc_id", "text")), [("char", 4)]))
+    docs = src.spread(docs.select("doc_id", "text"))
     return rounded(metrics.score(sp.spectra(docs, [("char", 4)]), ZIPF4.but(norm="none"), models).select("doc_id", "n_total", "score"), "score")
 
 

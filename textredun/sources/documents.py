@@ -27,6 +27,17 @@ def read_documents(spark: SparkSession, path: str | list[str], format: str = "pa
     return df.withColumnsRenamed({id_col: "doc_id", text_col: "text"})
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` over all cores where it is a plain scan of fewer partitions than there are (a few small files); anything else stays as it is.
+
+    Plans with a shuffle or broadcast are left alone: to count their partitions they would have to run.
+    """
+    if "AdaptiveSparkPlan" in df._jdf.queryExecution().executedPlan().toString():
+        return df
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def _joined(df: DataFrame, key: str, order: list[str], line: Column, glue: str = "\n") -> DataFrame:
     """One document per key: its rows' lines in order."""
     lines = F.transform(F.array_sort(F.collect_list(F.struct(*order, line.alias("line")))), lambda x: x["line"])
