@@ -491,10 +491,11 @@ FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id) WHERE coalesce(s
 def partition_verdicts(spark, sf_dir):
     """Every document with its verdict, rejects too."""
     docs = table(spark, sf_dir, "documents")
-    return rounded(tuning.partition_by_verdict(docs, scored(docs, MOMENT6), CUT).select("doc_id", "score", "is_natural"), "score")
+    verdict = F.when(F.col("is_natural"), "natural").when(~F.col("is_natural"), "rejected").otherwise("too short").alias("verdict")
+    return rounded(tuning.partition_by_verdict(docs, scored(docs, MOMENT6), CUT).select("doc_id", "score", verdict), "score")
 
 
-VERDICT_SQL = f"""WITH {prof_sql()} SELECT doc_id, round(score + 1e-10, 6) AS score, score <= {CUT} AS is_natural FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id)"""
+VERDICT_SQL = f"""WITH {prof_sql()} SELECT doc_id, round(score + 1e-10, 6) AS score, CASE WHEN score <= {CUT} THEN 'natural' WHEN score > {CUT} THEN 'rejected' ELSE 'too short' END AS verdict FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id)"""
 
 
 # --- documents from other tables -----------------------------------------------------------------------
