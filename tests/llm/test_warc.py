@@ -71,3 +71,25 @@ def test_pages_come_through(spark, data):
     got = [r for r in W.arc_to_warc(W.pages_as_arc(pages)).collect() if r.warc_type == "response"]
     assert {r.doc_id: (r.target_uri, bytes(r.record).split(b"\r\n\r\n", 2)[2][:-4].decode()) for r in got} == html
     assert {r.arc_version for r in got} == {1, 2}
+
+
+def test_query_gives_every_record_whole(spark, data):
+    """Each record's bytes against one put together from the page and the other columns."""
+    import __spark_entry__ as entry
+
+    pages = {r.page_id: (r.url, r.html) for r in spark.read.parquet(data("0.001") + "/pages.parquet").collect()}
+    ops = [k for k in entry.queries() if k.startswith("op6_")]
+    got = entry.queries()[ops[0]](spark, data("0.001")).collect()
+    assert len(got) == 2 * len(pages) and {r.doc_id for r in got} == set(pages)
+    names = {r.doc_id: r.record_id for r in got if r.record_no == 0}
+    for r in got:
+        file = f"page-{r.doc_id}.arc"
+        if r.record_no == 0:
+            block = f"software: arc converter\r\nformat: WARC File Format 1.0\r\nisPartOf: {file}\r\narcVersion: {1 + r.doc_id % 2}\r\n".encode()
+            own = [f"WARC-Filename: {file}"]
+        else:
+            block = b"HTTP/1.0 200 OK\r\nContent-Type: text/html\r\n\r\n" + pages[r.doc_id][1].encode()
+            own = [f"WARC-Target-URI: {pages[r.doc_id][0]}", f"WARC-Payload-Digest: {r.payload_digest}", "WARC-IP-Address: 192.0.2.1", f"WARC-Warcinfo-ID: {names[r.doc_id]}"]
+        assert r.block_digest == "sha1:" + base64.b32encode(hashlib.sha1(block).digest()).decode()
+        head = ["WARC/1.0", f"WARC-Type: {r.warc_type}", f"WARC-Record-ID: {r.record_id}", f"WARC-Date: {r.warc_date}", f"Content-Type: {r.content_type}", f"Content-Length: {len(block)}", f"WARC-Block-Digest: {r.block_digest}", *own]
+        assert bytes(r.record) == "\r\n".join([*head, "", ""]).encode() + block + b"\r\n\r\n"
