@@ -93,3 +93,31 @@ def test_forest_connects_what_pairs_connect(spark):
     df = spark.createDataFrame(rows, S.FINGERPRINT_SCHEMA)
     of = lambda e: {r.doc_id: r.group_id for r in S.components(e).collect()}
     assert of(S.near_fingerprints(df, 6, 0)) == of(S.near_fingerprints(df, 6, 0, forest=True))
+
+
+def test_query_gives_all_pairs(spark, tmp_path):
+    """Copies and near copies of them, each member with each other one, against comparing all with all."""
+    import __spark_entry__ as entry
+
+    words = [f"word{i}" for i in range(200)]
+    first, near, other = " ".join(words), " ".join([*words[:-1], "else"]), " ".join(f"other{i}" for i in range(50))
+    texts = [other, first, near, first, near, first, None, near, first, "", other, near]
+    rows = [(100 - i, t) for i, t in enumerate(texts)] + [(100, other), (99, near), (60, first), (60, other)]
+    docs = spark.createDataFrame(rows, DOCS)
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    prints = [(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()]
+    want = {}
+    for a, b, h in brute(prints, S.RADIUS, S.CONFIRM):
+        if a != b:
+            want[a, b] = min(h, want.get((a, b), 64))
+    got = [tuple(r) for r in entry.queries()["op4_simhash"](spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == {(a, b, h) for (a, b), h in want.items()}
+    ids = lambda t: {i for i, x in rows if x == t}
+    assert {(a, b) for a, b, _ in got} >= {(a, b) for a in ids(first) for b in ids(near) | ids(first) if a < b}
+
+
+def test_all_pairs_of_documents_equal_brute_force(spark, data):
+    docs = spark.read.parquet(data("0.01") + "/documents.parquet")
+    prints = [(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()]
+    got = [tuple(r) for r in S.all_pairs(docs).collect()]
+    assert len(got) == len(set(got)) and set(got) == brute(prints, S.RADIUS, S.CONFIRM)

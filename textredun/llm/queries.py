@@ -7,7 +7,7 @@ from textredun.llm.common import documents, labels
 from textredun.llm.exact_dedup import exact_dedup
 from textredun.llm.packing import pack_text
 from textredun.llm.sharding import assign_shards
-from textredun.llm.simhash import near_pairs
+from textredun.llm.simhash import all_pairs
 
 NORM = "trim(replace(replace(text, chr(13) || chr(10), chr(10)), chr(13), chr(10)), ' ' || chr(9) || chr(10))"
 
@@ -47,8 +47,8 @@ def op3_toxicity(spark, sf_dir):
 
 
 def op4_simhash(spark, sf_dir):
-    """Near-duplicate pairs of documents."""
-    return near_pairs(documents(spark, sf_dir))
+    """All near-duplicate pairs of documents."""
+    return all_pairs(documents(spark, sf_dir))
 
 
 def op5_bpe(spark, sf_dir):

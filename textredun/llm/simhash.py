@@ -14,7 +14,8 @@ on, and leaves compare whole fingerprints.  The result is exact: all pairs withi
 the radius, each once.
 
 Copies with one fingerprint are folded before the search, so a group of thousands
-costs as much as one document; they come back as pairs with their smallest id.
+costs as much as one document there.  ``all_pairs`` unfolds them again: its rows grow with
+the square of a group.  ``near_pairs`` gives links with the smallest id instead.
 """
 
 from __future__ import annotations
@@ -305,12 +306,12 @@ def fold(prints: DataFrame) -> DataFrame:
 
 
 def near_pairs(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Near-duplicate pairs ``doc_a < doc_b, distance``, each once.
+    """Links ``doc_a < doc_b, distance`` of near-duplicate documents, each once; for the pairs see ``all_pairs``.
 
-    Documents with the same fingerprints are listed as pairs of the smallest id among
+    Documents with the same fingerprints are listed as links of the smallest id among
     them with each other one (distance 0); documents with different fingerprints are
-    compared by those smallest ids, all pairs within ``radius``.  All pairs follow: two
-    documents are within the radius iff their smallest ids are.
+    compared by those smallest ids, all pairs within ``radius``.  Pairs of other members
+    of two groups are not listed.
 
     Texts that are NULL, empty or without any word, and NULL ids, are in no pair.
     Rows that repeat an id count once.  A text of any length is read whole.  An empty
@@ -327,6 +328,26 @@ def near_pairs(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id
     return copies.unionByName(near_fingerprints(folded, radius, confirm))
 
 
+def all_pairs(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Every near-duplicate pair ``doc_a < doc_b, distance`` of documents, each once.
+
+    Groups of equal fingerprints are compared once and unfolded: all pairs within a group,
+    and each member of a group with each of every near group.  An id with several texts is in the group of each, and
+    of the distances of a pair the smallest counts; otherwise as ``near_pairs``.
+    """
+    prints = fingerprints(docs, id_col, text_col)
+    groups = cut_lineage(prints.groupBy("fp", "confirm").agg(F.sort_array(F.collect_set("doc_id")).alias("ids")).withColumn("group", F.monotonically_increasing_id()))
+    near = near_fingerprints(groups.select(F.col("group").alias("doc_id"), "fp", "confirm"), radius, confirm)
+    one, two = (groups.select(F.col("group").alias(f"doc_{x}"), F.col("ids").alias(f"ids_{x}")) for x in "ab")
+    across = near.join(one, "doc_a").join(two, "doc_b").select("ids_a", "ids_b", "distance")
+    across = across.select(F.explode("ids_a").alias("x"), "ids_b", "distance").select("x", F.explode("ids_b").alias("y"), "distance").where("x <> y")
+    within = groups.where("size(ids) > 1").select(F.posexplode("ids").alias("at", "x"), "ids")
+    within = within.select("x", F.explode(F.expr("slice(ids, at + 2, size(ids))")).alias("y"), F.lit(0).alias("distance"))
+    pairs = across.unionByName(within).select(F.least("x", "y").alias("doc_a"), F.greatest("x", "y").alias("doc_b"), "distance")
+    repeated = groups.select(F.explode("ids").alias("doc_id")).groupBy("doc_id").count().where("count > 1")
+    return pairs if repeated.isEmpty() else pairs.groupBy("doc_a", "doc_b").agg(F.min("distance").alias("distance"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """``doc_id, group_id`` for the nodes of ``doc_a, doc_b`` edges: the group is the smallest id that a path leads to.
 
