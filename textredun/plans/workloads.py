@@ -27,8 +27,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scored(docs: DataFrame, settings, cap: int | None = 5000) -> DataFrame:
-    settings = [settings] if isinstance(settings, Setting) else settings
+def scored(docs: DataFrame, settings, cap: int | None = sp.CAP) -> DataFrame:
+    settings = [s.but(cap=cap) for s in ([settings] if isinstance(settings, Setting) else settings)]
     return metrics.score(sp.spectra(src.spread(docs.select("doc_id", "text")), sorted({s.spec for s in settings}), cap=cap), settings)
 
 
@@ -37,14 +37,14 @@ def rounded(df: DataFrame, *names: str) -> DataFrame:
     return df.withColumns({n: F.round(F.col(n) + NUDGE, 6) for n in names})
 
 
-def one_score(s: Setting, spark: SparkSession, sf_dir: str) -> DataFrame:
+def one_score(s: Setting, spark: SparkSession, sf_dir: str, cap: int | None = sp.CAP) -> DataFrame:
     """Every document's score under one setting."""
-    return rounded(scored(table(spark, sf_dir, "documents"), s).select("doc_id", "n_total", "score"), "score")
+    return rounded(scored(table(spark, sf_dir, "documents"), s, cap).select("doc_id", "n_total", "score"), "score")
 
 
-def many_scores(settings: list[Setting], spark: SparkSession, sf_dir: str) -> DataFrame:
+def many_scores(settings: list[Setting], spark: SparkSession, sf_dir: str, cap: int | None = sp.CAP) -> DataFrame:
     """Every document's scores under several settings, from one count."""
-    return rounded(scored(table(spark, sf_dir, "documents"), settings).select("doc_id", "signature", "score"), "score")
+    return rounded(scored(table(spark, sf_dir, "documents"), settings, cap).select("doc_id", "signature", "score"), "score")
 
 
 # --- SQL pieces --------------------------------------------------------------------------------------
@@ -137,21 +137,21 @@ classes AS (SELECT doc_id, text, lang,
   FROM worded LEFT JOIN labelled USING (doc_id))"""
 
 
-def classes_of(spark, sf_dir):
-    return tasks.classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+def classes_of(spark, sf_dir, cap=sp.CAP):
+    return tasks.classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), cap)
 
 
 # --- distributions and classes -------------------------------------------------------------------------
 
 
-def toy_histogram(spark, sf_dir):
+def toy_histogram(spark, sf_dir, cap=sp.CAP):
     """The ten most frequent 6-grams of the most and the least repetitive document."""
     docs = table(spark, sf_dir, "documents")
-    s = scored(docs, MOMENT6).where("valid").select("doc_id", F.round(F.col("score") + NUDGE, 6).alias("score"))
+    s = scored(docs, MOMENT6, cap).where("valid").select("doc_id", F.round(F.col("score") + NUDGE, 6).alias("score"))
     worst = s.orderBy(F.desc("score"), "doc_id").limit(1).withColumn("kind", F.lit("most repetitive"))
     best = s.orderBy("score", "doc_id").limit(1).withColumn("kind", F.lit("least repetitive"))
     two = F.broadcast(worst.unionByName(best).select("doc_id", "kind"))
-    return sp.gram_histogram(docs.join(two, "doc_id", "left_semi"), top=10).join(two, "doc_id").select("kind", "doc_id", "gram", "cnt", F.col("rank").cast("bigint").alias("rank"))
+    return sp.gram_histogram(docs.join(two, "doc_id", "left_semi"), top=10, cap=cap).join(two, "doc_id").select("kind", "doc_id", "gram", "cnt", F.col("rank").cast("bigint").alias("rank"))
 
 
 TOY_SQL = f"""WITH {prof_sql()}, s AS (SELECT doc_id, round(score + 1e-10, 6) AS score FROM ({moment_sql(MOMENT6)})),
@@ -160,26 +160,26 @@ SELECT kind, doc_id, g AS gram, c::BIGINT AS cnt, rank FROM (
   SELECT kind, doc_id, g, c, row_number() OVER (PARTITION BY doc_id, kind ORDER BY c DESC, g) AS rank FROM prof JOIN two USING (doc_id)) WHERE rank <= 10"""
 
 
-def class_counts(spark, sf_dir):
+def class_counts(spark, sf_dir, cap=sp.CAP):
     """Documents of each class."""
-    return classes_of(spark, sf_dir).groupBy("label_class").agg(F.count(F.lit(1)).alias("n_docs"))
+    return classes_of(spark, sf_dir, cap).groupBy("label_class").agg(F.count(F.lit(1)).alias("n_docs"))
 
 
-def split_balance(spark, sf_dir):
+def split_balance(spark, sf_dir, cap=sp.CAP):
     """Documents of each class in each half."""
-    return classes_of(spark, sf_dir).groupBy("label_class", "half").agg(F.count(F.lit(1)).alias("n_docs"))
+    return classes_of(spark, sf_dir, cap).groupBy("label_class", "half").agg(F.count(F.lit(1)).alias("n_docs"))
 
 
-def language_cover(spark, sf_dir):
+def language_cover(spark, sf_dir, cap=sp.CAP):
     """Natural documents of each language, and how many a sample of six keeps."""
-    c = classes_of(spark, sf_dir)
+    c = classes_of(spark, sf_dir, cap)
     kept = tasks.per_language_sample(c).groupBy("lang").agg(F.count(F.lit(1)).alias("n_sampled"))
     return c.where("label_class = 'natural'").groupBy("lang").agg(F.count(F.lit(1)).alias("n_natural")).join(F.broadcast(kept), "lang")
 
 
-def profile_char6(spark, sf_dir):
+def profile_char6(spark, sf_dir, cap=sp.CAP):
     """6-grams, distinct ones and distinct counts of every document."""
-    x = sp.spectra(src.spread(table(spark, sf_dir, "documents").select("doc_id", "text")), [("char", 6)])
+    x = sp.spectra(src.spread(table(spark, sf_dir, "documents").select("doc_id", "text")), [("char", 6)], cap=cap)
     return x.select("doc_id", "n_total", "n_types", F.size("spectrum").cast("bigint").alias("n_levels"), F.round(F.try_divide("n_types", "n_total") + NUDGE, 6).alias("distinct_share"))
 
 
@@ -214,10 +214,10 @@ def ttr_capped(spark, sf_dir):
     return rounded(metrics.capped_ttr(table(spark, sf_dir, "documents"), 6, 500), "score")
 
 
-def verdict_changes(spark, sf_dir):
+def verdict_changes(spark, sf_dir, cap=sp.CAP):
     """Documents on which two settings disagree, by the verdicts at the fixed threshold."""
     docs = table(spark, sf_dir, "documents")
-    one, two = (tuning.classify(scored(docs, s), CUT).select("doc_id", "is_natural") for s in (MOMENT6, MOMENT6.but(asymptote=500.0)))
+    one, two = (tuning.classify(scored(docs, s, cap), CUT).select("doc_id", "is_natural") for s in (MOMENT6, MOMENT6.but(asymptote=500.0)))
     return one.exceptAll(two)
 
 
@@ -225,19 +225,19 @@ CHANGES_SQL = f"""WITH {prof_sql()} SELECT doc_id, score <= {CUT} AS is_natural
 EXCEPT ALL SELECT doc_id, score <= {CUT} AS is_natural FROM documents LEFT JOIN ({moment_sql(MOMENT6.but(asymptote=500.0))}) USING (doc_id)"""
 
 
-def worst_documents(spark, sf_dir):
+def worst_documents(spark, sf_dir, cap=sp.CAP):
     """The twenty most repetitive documents."""
-    s = rounded(scored(table(spark, sf_dir, "documents"), MOMENT6).where("valid").select("doc_id", "score"), "score")
+    s = rounded(scored(table(spark, sf_dir, "documents"), MOMENT6, cap).where("valid").select("doc_id", "score"), "score")
     return s.orderBy(F.desc("score"), "doc_id").limit(20)
 
 
-def zipf_empirical(spark, sf_dir):
+def zipf_empirical(spark, sf_dir, cap=sp.CAP):
     """Squared distance from the mean ranks of natural English documents instead of 1 / rank."""
     docs = table(spark, sf_dir, "documents")
     clean = docs.where("lang = 'en'").join(table(spark, sf_dir, "labels").where("quality = 1"), "doc_id", "left_semi")
-    models = metrics.empirical_models(sp.spectra(src.spread(clean.select("doc_id", "text")), [("char", 4)]))
+    models = metrics.empirical_models(sp.spectra(src.spread(clean.select("doc_id", "text")), [("char", 4)], cap=cap))
     docs = src.spread(docs.select("doc_id", "text"))
-    return rounded(metrics.score(sp.spectra(docs, [("char", 4)]), ZIPF4.but(norm="none"), models).select("doc_id", "n_total", "score"), "score")
+    return rounded(metrics.score(sp.spectra(docs, [("char", 4)], cap=cap), ZIPF4.but(norm="none", cap=cap), models).select("doc_id", "n_total", "score"), "score")
 
 
 ZIPF_EMPIRICAL_SQL = f"""WITH {prof_sql(n=4)}, clean AS (SELECT doc_id FROM documents WHERE lang = 'en' AND doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)),
@@ -246,11 +246,11 @@ shares AS (SELECT r AS rank, sum(p) / (SELECT count(*) FROM clean JOIN tot USING
 {all_docs_sql(zipf_sql(ZIPF4.but(norm="none"), shares="SELECT rank, w FROM shares"))}"""
 
 
-def rank_model_fit(spark, sf_dir):
+def rank_model_fit(spark, sf_dir, cap=sp.CAP):
     """Shape of the mean rank shares of benchmark passages and of natural documents, for 4-grams."""
     clean = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels").where("quality = 1"), "doc_id", "left_semi")
     passages = table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), "text")
-    parts = [metrics.fit_rank_model(sp.spectra(d, [("char", 4)])).withColumn("sample", F.lit(name)) for name, d in (("natural", clean), ("benchmark", passages))]
+    parts = [metrics.fit_rank_model(sp.spectra(d, [("char", 4)], cap=cap)).withColumn("sample", F.lit(name)) for name, d in (("natural", clean), ("benchmark", passages))]
     return rounded(parts[0].unionByName(parts[1]).select("sample", "n", "n_ranks", "exponent", "intercept", "r2"), "exponent", "intercept", "r2")
 
 
@@ -267,9 +267,9 @@ FIT_SQL = f"""WITH {prof_sql(n=4, docs="SELECT doc_id, text FROM documents WHERE
 ENSEMBLE = [MOMENT6, MOMENT6.but(n=5), Setting(unit="token", n=1)]
 
 
-def ensemble_char_token(spark, sf_dir):
+def ensemble_char_token(spark, sf_dir, cap=sp.CAP):
     """Mean of character and word scores."""
-    return rounded(metrics.ensemble(scored(table(spark, sf_dir, "documents"), ENSEMBLE)), "score")
+    return rounded(metrics.ensemble(scored(table(spark, sf_dir, "documents"), ENSEMBLE, cap)), "score")
 
 
 ENSEMBLE_SQL = f"""SELECT doc_id, count(score) AS n_scores, round(avg(score) + 1e-10, 6) AS score FROM (
@@ -399,10 +399,10 @@ def grid_overfit(spark, sf_dir):
 # --- corpora --------------------------------------------------------------------------------------------
 
 
-def score_vs_length(spark, sf_dir):
+def score_vs_length(spark, sf_dir, cap=sp.CAP):
     """Length, class, score and verdict of every labelled document."""
-    c = classes_of(spark, sf_dir).where("label_class <> 'unsure'")
-    rows = scored(c, MOMENT6).where("valid").join(c.select("doc_id", "text", "label_class"), "doc_id")
+    c = classes_of(spark, sf_dir, cap).where("label_class <> 'unsure'")
+    rows = scored(c, MOMENT6, cap).where("valid").join(c.select("doc_id", "text", "label_class"), "doc_id")
     return rounded(corpus.score_length_points(rows, CUT), "score")
 
 
@@ -411,9 +411,9 @@ SELECT doc_id, least(length(text), 5000)::BIGINT AS n_chars, label_class, round(
 FROM ({moment_sql(MOMENT6)}) JOIN classes USING (doc_id) WHERE label_class <> 'unsure' AND score IS NOT NULL"""
 
 
-def length_boundary(spark, sf_dir):
+def length_boundary(spark, sf_dir, cap=sp.CAP):
     """The same points gathered by length."""
-    return rounded(corpus.boundary_summary(score_vs_length(spark, sf_dir)), "mean_score")
+    return rounded(corpus.boundary_summary(score_vs_length(spark, sf_dir, cap)), "mean_score")
 
 
 BOUNDARY_SQL = f"""SELECT ((n_chars // 500) * 500)::BIGINT AS from_chars, label_class, count(*) AS n_docs, round(avg(score) + 1e-10, 6) AS mean_score, sum(is_natural::BIGINT)::BIGINT AS n_natural
@@ -422,27 +422,27 @@ FROM ({SCATTER_SQL}) GROUP BY ALL"""
 THREE = {"ttr": TTR6, "moment": MOMENT6, "zipf": ZIPF4}
 
 
-def _three(spark, sf_dir):
+def _three(spark, sf_dir, cap=sp.CAP):
     rows = corpus.with_split_and_tier(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
-    names = {signature(s): k for k, s in THREE.items()}
-    wide = scored(rows, list(THREE.values())).groupBy("doc_id").agg(*[F.max(F.when(F.col("signature") == n, F.col("score"))).alias(k) for n, k in names.items()])
+    names = {signature(s.but(cap=cap)): k for k, s in THREE.items()}
+    wide = scored(rows, list(THREE.values()), cap).groupBy("doc_id").agg(*[F.max(F.when(F.col("signature") == n, F.col("score"))).alias(k) for n, k in names.items()])
     return rows.drop("text").join(wide, "doc_id")
 
 
-def corpus_report(spark, sf_dir):
+def corpus_report(spark, sf_dir, cap=sp.CAP):
     """Mean scores of clean and noisy text, of languages with many and few documents."""
-    out = corpus.corpus_report(_three(spark, sf_dir), list(THREE))
+    out = corpus.corpus_report(_three(spark, sf_dir, cap), list(THREE))
     return rounded(out, *[f"{k}_{s}" for k in ("micro", "macro") for s in THREE])
 
 
-def corpus_report_lang(spark, sf_dir):
+def corpus_report_lang(spark, sf_dir, cap=sp.CAP):
     """The same for each language."""
-    return rounded(corpus.report_by_language(_three(spark, sf_dir), list(THREE)), *THREE)
+    return rounded(corpus.report_by_language(_three(spark, sf_dir, cap), list(THREE)), *THREE)
 
 
-def tier_gap(spark, sf_dir):
+def tier_gap(spark, sf_dir, cap=sp.CAP):
     """Clean text of the languages with few documents beside noisy text of those with many."""
-    rows = _three(spark, sf_dir).where("(split = 'clean' AND tier = 'low') OR (split = 'noisy' AND tier = 'high')")
+    rows = _three(spark, sf_dir, cap).where("(split = 'clean' AND tier = 'low') OR (split = 'noisy' AND tier = 'high')")
     return rounded(rows.groupBy("split", "tier").agg(F.count(F.lit(1)).alias("n_docs"), *[F.avg(s).alias(s) for s in THREE]), *THREE)
 
 
@@ -477,10 +477,10 @@ def signatures(spark, sf_dir):
     return tuning.settings_table(spark, [parse_signature(signature(s)) for s in RELEASED])
 
 
-def filter_corpus(spark, sf_dir):
+def filter_corpus(spark, sf_dir, cap=sp.CAP):
     """Documents and characters that stay, by language and source."""
     docs = table(spark, sf_dir, "documents")
-    kept = tuning.filter_natural(docs, scored(docs, MOMENT6), CUT)
+    kept = tuning.filter_natural(docs, scored(docs, MOMENT6, cap), CUT)
     return kept.groupBy("lang", "source").agg(F.count(F.lit(1)).alias("n_docs"), F.sum(F.length("text").cast("bigint")).alias("n_chars"))
 
 
@@ -488,11 +488,11 @@ FILTER_SQL = f"""WITH {prof_sql()} SELECT lang, source, count(*) AS n_docs, sum(
 FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id) WHERE coalesce(score <= {CUT}, true) GROUP BY lang, source"""
 
 
-def partition_verdicts(spark, sf_dir):
+def partition_verdicts(spark, sf_dir, cap=sp.CAP):
     """Every document with its verdict, rejects too."""
     docs = table(spark, sf_dir, "documents")
     verdict = F.when(F.col("is_natural"), "natural").when(~F.col("is_natural"), "rejected").otherwise("too short").alias("verdict")
-    return rounded(tuning.partition_by_verdict(docs, scored(docs, MOMENT6), CUT).select("doc_id", "score", verdict), "score")
+    return rounded(tuning.partition_by_verdict(docs, scored(docs, MOMENT6, cap), CUT).select("doc_id", "score", verdict), "score")
 
 
 VERDICT_SQL = f"""WITH {prof_sql()} SELECT doc_id, round(score + 1e-10, 6) AS score, CASE WHEN score <= {CUT} THEN 'natural' WHEN score > {CUT} THEN 'rejected' ELSE 'too short' END AS verdict FROM documents LEFT JOIN ({moment_sql(MOMENT6)}) USING (doc_id)"""
@@ -501,9 +501,9 @@ VERDICT_SQL = f"""WITH {prof_sql()} SELECT doc_id, round(score + 1e-10, 6) AS sc
 # --- documents from other tables -----------------------------------------------------------------------
 
 
-def derived(make, spark, sf_dir):
+def derived(make, spark, sf_dir, cap=sp.CAP):
     """Scores of documents made from another table's rows."""
-    return rounded(scored(make(spark, sf_dir), MOMENT6).select("doc_id", "n_total", "score"), "score")
+    return rounded(scored(make(spark, sf_dir), MOMENT6, cap).select("doc_id", "n_total", "score"), "score")
 
 
 def _pages(spark, sf_dir):
@@ -552,11 +552,11 @@ def _place(spark: SparkSession) -> str:
     return f"{root.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
-def stream_scored(spark, sf_dir):
+def stream_scored(spark, sf_dir, cap=sp.CAP):
     """Documents scored through a stream: what a batch gives."""
     path = f"{sf_dir}/documents.parquet"
     docs = streaming.read_stream(spark, path) if os.path.isdir(path) else streaming.read_stream(spark, sf_dir, glob="documents.parquet")
-    out = streaming.run_to_files(streaming.scored_stream(docs, MOMENT6), _place(spark))
+    out = streaming.run_to_files(streaming.scored_stream(docs, MOMENT6.but(cap=cap)), _place(spark))
     return rounded(out.select("doc_id", "n_total", "score"), "score")
 
 
@@ -571,12 +571,12 @@ STREAM_WINDOWS_SQL = """WITH k AS (SELECT date_trunc('hour', ts) AS w, user_id,
 SELECT strftime(w, '%Y-%m-%d %H:%M:%S') AS window_start, user_id, sum(c)::BIGINT AS n_events, count(*) AS n_types, round(sum(c::DOUBLE * c) / power(sum(c), 2) + 1e-10, 6) AS moment FROM k GROUP BY w, user_id"""
 
 
-def sql_surface(spark, sf_dir):
+def sql_surface(spark, sf_dir, cap=sp.CAP):
     """Scores through the SQL function, as a user of SQL would ask for them."""
     from textredun.functions import sql
 
     sql.register(spark)
-    return rounded(table(spark, sf_dir, "documents").selectExpr("doc_id", f"redundancy(text, '{signature(MOMENT6)}') AS score"), "score")
+    return rounded(table(spark, sf_dir, "documents").selectExpr("doc_id", f"redundancy(text, '{signature(MOMENT6.but(cap=cap))}') AS score"), "score")
 
 
 SINGLE = {
@@ -644,9 +644,17 @@ NAMED = {
 }
 
 
+#: Queries that also come as ``NAME_whole``, which reads every text to its end; the SQL twins cut at ``CAP``.
+WHOLE = (
+    *SINGLE, *SEVERAL, *DERIVED, "toy_histogram", "class_counts", "split_balance", "language_cover", "profile_char6", "verdict_changes", "worst_documents", "zipf_empirical", "rank_model_fit", "ensemble_char_token",
+    "score_vs_length", "length_boundary", "corpus_report", "corpus_report_lang", "tier_gap", "filter_corpus", "partition_verdicts", "stream_scored", "sql_surface",
+)
+
+
 def queries() -> dict:
     out = {k: partial(one_score, s) for k, s in SINGLE.items()} | {k: partial(many_scores, s) for k, s in SEVERAL.items()}
-    return out | {k: q for k, (q, _) in NAMED.items()} | {k: partial(derived, make) for k, (make, _) in DERIVED.items()}
+    out |= {k: q for k, (q, _) in NAMED.items()} | {k: partial(derived, make) for k, (make, _) in DERIVED.items()}
+    return out | {f"{k}_whole": partial(out[k], cap=None) for k in WHOLE}
 
 
 def oracle_sql() -> dict[str, str]:
