@@ -32,3 +32,15 @@ def test_junk_behind_the_cap_is_found(spark, place):
     assert [(r.n_docs, r.n_chars) for r in kept] == [(2, len(place[1][2]) + len(place[1][3]))]
     profile = {r.doc_id: r.n_total for r in workloads.queries()["profile_char6_whole"](spark, place[0]).collect()}
     assert profile == {i: len(t) - 5 for i, t in place[1].items()}
+
+
+def test_moving_window_sees_every_word(spark, tmp_path):
+    rows = [(1, " ".join(f"w{i}" for i in range(50)) + " tail" * 49), (2, " ".join(str(i * i % 37) for i in range(6000))), (3, "a b a"), (4, " "), (5, None)]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    want = {}
+    for i, t in rows:
+        u = (t or "").split()
+        shares = [len(set(u[s : s + 50])) / len(u[s : s + 50]) for s in range(max(len(u) - 50, 0) + 1) if u]
+        want[i] = (len(shares), pytest.approx(sum(shares) / len(shares), abs=1e-6) if shares else None)
+    got = {r.doc_id: (r.n_windows, r.score) for r in workloads.queries()["window_ttr_moving"](spark, str(tmp_path)).collect()}
+    assert got == want and got[1][1] < 0.6

@@ -175,14 +175,31 @@ def gram_histogram(df: DataFrame, unit: str = "char", n: int = 6, top: int | Non
 def window_ttr(df: DataFrame, unit: str = "token", width: int = 50, stride: int = 50, cap: int | None = CAP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_windows, score``: mean share of distinct units over windows of ``width`` units, every ``stride`` units.
 
-    A window shorter than ``width`` counts only where it is the document's only one; no units: NULL.
+    A window shorter than ``width`` counts only where it is the document's only one; no units: NULL.  A stride over 1
+    may leave the last units in no window.  With a stride of 1 the time grows with the units, not with the width.
     """
 
+    def moving(u: list[str]) -> tuple[int, float | None]:
+        """Windows and mean share for a stride of 1: each unit counts in the windows that it is the first of its kind in."""
+        if not u:
+            return 0, None
+        w = min(width, len(u))
+        last, before, total = len(u) - w, {}, 0
+        for i, x in enumerate(u):
+            total += max(0, min(i, last) - max(before.get(x, -1) + 1, i - w + 1) + 1)
+            before[x] = i
+        return last + 1, total / (w * (last + 1))
+
     def run(batches):
         for b in batches:
             windows, score = [], []
             for t in b.column(1).to_pylist():
                 u = (list(t) if unit == "char" else kernel.TOKEN.findall(t) if unit == "token" else t.split("\n")) if t else []
+                if stride == 1:
+                    n, mean = moving(u)
+                    windows.append(n)
+                    score.append(mean)
+                    continue
                 starts = range(0, max(len(u) - width, 0) + 1, stride) if u else ()
                 shares = [len(set(u[s : s + width])) / len(u[s : s + width]) for s in starts]
                 windows.append(len(shares))

@@ -209,6 +209,11 @@ SELECT d.doc_id, coalesce(n_windows, 0)::BIGINT AS n_windows, round(score + 1e-1
   SELECT doc_id, count(*) AS n_windows, avg(len(list_distinct(u))::DOUBLE / len(u)) AS score FROM x GROUP BY doc_id) USING (doc_id)"""
 
 
+def window_ttr_moving(spark, sf_dir):
+    """The same over whole texts with a window that moves word by word, so that every word counts."""
+    return rounded(sp.window_ttr(table(spark, sf_dir, "documents"), width=50, stride=1, cap=None), "score")
+
+
 def ttr_capped(spark, sf_dir):
     """1 - V/N of the first 500 6-grams of every document."""
     return rounded(metrics.capped_ttr(table(spark, sf_dir, "documents"), 6, 500), "score")
@@ -613,6 +618,7 @@ NAMED = {
     "spectra_native": (partial(strategy_twin, "native"), TWIN_SQL),
     "spectra_relational": (partial(strategy_twin, "relational"), TWIN_SQL),
     "window_ttr": (window_ttr, WINDOW_SQL),
+    "window_ttr_moving": (window_ttr_moving, None),
     "ttr_capped": (ttr_capped, f"WITH {prof_sql(cap=505)}\n{all_docs_sql(score_query_sql(TTR6))}"),
     "verdict_changes": (verdict_changes, CHANGES_SQL),
     "worst_documents": (worst_documents, f"SELECT doc_id, score FROM ({one_score_sql(MOMENT6)}) WHERE score IS NOT NULL ORDER BY score DESC, doc_id LIMIT 20"),
