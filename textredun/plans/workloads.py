@@ -371,7 +371,7 @@ def _grid(spark, sf_dir, settings):
     return tuning.grid_results(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), settings)
 
 
-SEARCH = partial(tuning.final_grid, lengths=(1, 2, 3, 4, 5, 6, 7, 8), lams=(0.0, 1.0), asymptotes=(500.0, 2000.0, math.inf))
+SEARCH = tuning.final_grid
 
 
 def grid_full(spark, sf_dir):
@@ -396,8 +396,7 @@ def parameter_effect(spark, sf_dir):
 
 def grid_overfit(spark, sf_dir):
     """How much more the best settings of the wide grid lose from tune to test than those of the restricted one."""
-    lengths = (1, 4, 6)
-    parts = [tuning.generalisation_gap(_grid(spark, sf_dir, g)).withColumn("grid", F.lit(name)) for name, g in (("final", SEARCH(lengths=lengths)), ("deep", tuning.deep_grid(lengths)))]
+    parts = [tuning.generalisation_gap(_grid(spark, sf_dir, g)).withColumn("grid", F.lit(name)) for name, g in (("final", SEARCH()), ("deep", tuning.deep_grid()))]
     return parts[0].unionByName(parts[1])
 
 
