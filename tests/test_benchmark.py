@@ -5,7 +5,6 @@ from pyspark.sql import functions as F
 
 from textredun.functions.signature import Setting, signature
 from textredun.operators import corpus, measures, metrics, tasks, tuning
-from textredun.operators import spectrum as sp
 
 ROWS = "signature string, score double, is_natural boolean, weight double, valid boolean"
 
@@ -72,10 +71,32 @@ def test_classes_and_halves(spark, data):
 
 def test_filter_and_partition(spark):
     docs = spark.createDataFrame([(1, "ab" * 500), (2, "the quick brown fox"), (3, "x"), (4, None)], "doc_id bigint, text string")
-    scored = metrics.score(sp.spectra(docs, [("char", 6)]), Setting())
-    assert sorted(r.doc_id for r in tuning.filter_natural(docs, scored, 2.0).collect()) == [2, 3, 4]
-    assert sorted(r.doc_id for r in tuning.filter_natural(docs, scored, 2.0, keep_invalid=False).collect()) == [2]
-    assert {r.doc_id: r.is_natural for r in tuning.partition_by_verdict(docs, scored, 2.0).collect()} == {1: False, 2: True, 3: None, 4: None}
+    assert sorted(r.doc_id for r in tuning.filter_natural(docs, Setting(), 2.0).collect()) == [2, 3, 4]
+    assert sorted(r.doc_id for r in tuning.filter_natural(docs, Setting(), 2.0, keep_invalid=False).collect()) == [2]
+    assert {r.doc_id: r.is_natural for r in tuning.partition_by_verdict(docs, Setting(), 2.0).collect()} == {1: False, 2: True, 3: None, 4: None}
+
+
+def test_verdicts_are_of_rows_not_of_ids(spark):
+    """Rows that share an id, or have none, are judged each by its own text; no row is lost or doubled; other columns pass."""
+    rows = [(1, "ab" * 500, 7), (1, "the quick brown fox", 8), (None, "ab" * 500, 9), (None, "", 10), (None, "so it goes, now and then", 11)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, threshold int")
+    line = spark.createDataFrame([(2.0,)], "threshold double")
+    for t in (2.0, line):
+        assert sorted(map(tuple, tuning.filter_natural(docs, Setting(), t).collect()), key=str) == sorted([rows[1], rows[3], rows[4]], key=str)
+        got = tuning.partition_by_verdict(docs, Setting(), t)
+        assert got.columns == ["doc_id", "text", "threshold", "score", "is_natural"] and sorted((r.threshold, r.is_natural) for r in got.collect() if r.is_natural is not None) == [(7, False), (8, True), (9, False), (11, True)]
+    assert tuning.filter_natural(docs.limit(0), Setting(), 2.0).count() == 0
+    with pytest.raises(ValueError):
+        metrics.with_scores(docs, {"Threshold": Setting()})
+
+
+def test_verdicts_move_no_text(spark, data):
+    d = data("0.01")
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    line = spark.createDataFrame([(2.0,)], "threshold double")
+    for out in (tuning.filter_natural(docs, Setting(), line), tuning.partition_by_verdict(docs, Setting(), 2.0)):
+        plan = out._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("ArrowEvalPython") == 1 and "Exchange hashpartitioning" not in plan and "SortMergeJoin" not in plan
 
 
 def test_thresholds_as_of_a_time(spark):
@@ -94,10 +115,16 @@ def test_grids_hold_what_did_best():
     for grid in (tuning.final_grid(), tuning.deep_grid()):
         names = [signature(s) for s in grid]
         assert len(names) == len(set(names))
+        grid = [s for s in grid if isinstance(s, Setting)]
         assert {s.k for s in grid if s.g == "pow" and s.metric == "moment"} >= {1.5, 2.0, 3.0} and any(s.g == "sq_entropy" for s in grid) and {"sq", "log"} <= {s.d for s in grid}
         assert {2000.0, math.inf} <= {s.asymptote for s in grid} and {4, 5, 6} <= {s.n for s in grid}
 
 
+def test_tiers_are_there_at_any_size(spark):
+    rows = spark.createDataFrame([("en", "clean")] * 5 + [("fr", "clean"), ("fr", "noisy"), ("de", "clean")], "lang string, split string").withColumn("x", F.lit(1.0))
+    assert {r.lang: r.tier for r in corpus.by_language(rows, ["x"]).collect()} == {"en": "high", "fr": "low", "de": "low"}
+
+
 @pytest.fixture(scope="module")
 def searched(spark, data):
     lengths, kinds = (1, 4, 5, 6, 7), ({"k": 2.0},)

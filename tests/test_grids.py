@@ -1,19 +1,95 @@
-from textredun.functions.signature import signature
-from textredun.operators import tuning
+import itertools
+import math
+
+import pytest
+
+from textredun.functions.signature import Ensemble, Setting, members, parse_signature, signature
+from textredun.operators import metrics, tasks, tuning
 from textredun.plans import workloads
 
 
+def test_grids_are_whole():
+    final, deep = tuning.final_grid(), tuning.deep_grid()
+    assert len(final) == 17 * (3 + 15 * 6) and len(deep) == 19 * (20 + 100 * 12)
+    for grid in (final, deep):
+        names = [signature(s) for s in grid]
+        assert len(set(names)) == len(names) and sum(isinstance(s, Ensemble) for s in grid) > 600
+        assert {m.lam for s in grid for m in members(s)} >= {0.0, 0.1, 1.0} and {m.asymptote for s in grid for m in members(s)} == {500.0, 1000.0, 2000.0, 5000.0, math.inf}
+        assert sum(s.metric == "ttr" for s in grid) > 50
+    assert signature(parse_signature(signature(final[-1]))) == signature(final[-1])
+
+
 def test_grid_queries_search_the_whole_grids(monkeypatch, spark):
-    """Which settings each grid query asks for."""
+    """Which settings each grid query asks for; the second query on a grid finds it made."""
     asked = []
 
-    def grid(spark, sf_dir, settings):
+    def results(docs, labels, settings, **_):
         asked.append({signature(s) for s in settings})
-        return spark.createDataFrame([], "tuned_on string, tested_on string, signature string, metric string, unit string, n int, lam double, eps double, top_k int, g string, k double, d string, asymptote double, threshold double, tune_value double, test_f1 double")
-
-    monkeypatch.setattr(workloads, "_grid", grid)
-    final, deep = ({signature(s) for s in g()} for g in (tuning.final_grid, tuning.deep_grid))
-    for name in ("grid_full", "tune_test_matrix", "best_setting_per_n", "parameter_effect"):
-        workloads.queries()[name](spark, "")
-    workloads.queries()["grid_overfit"](spark, "")
-    assert asked == [final] * 4 + [final, deep] and len(final) == 910
+        return spark.createDataFrame([], "tuned_on string, tested_on string, signature string, metric string, unit string, n int, lengths string, lam double, eps double, top_k int, g string, k double, d string, asymptote double, threshold double, tune_value double, test_f1 double")
+
+    monkeypatch.setattr(workloads.tuning, "grid_results", results)
+    monkeypatch.setattr(workloads, "table", lambda *_: None)
+    workloads.forget_grids()
+    for name in ("grid_full", "tune_test_matrix", "best_setting_per_n", "parameter_effect", "relative_gain", "grid_overfit"):
+        workloads.queries()[name](spark, "nowhere")
+    assert asked == [{signature(s) for s in g()} for g in (tuning.final_grid, tuning.deep_grid)]
+    workloads.forget_grids()
+
+
+def brute(rows, share, objective):
+    """The lowest of the best thresholds of (good, score) rows."""
+    pos, neg = sum(g for g, _ in rows), sum(not g for g, _ in rows)
+    best = None
+    for t in sorted({s for _, s in rows}):
+        tp = share * sum(g and s <= t for g, s in rows) / pos
+        fp = (1 - share) * sum((not g) and s <= t for g, s in rows) / max(neg, 1)
+        fn, tn = share - tp, 1 - share - fp
+        v = 2 * tp / (2 * tp + fp + fn) if objective == "f1" else 4 * tp * tn / (4 * tp * tn + (tp + tn) * (fp + fn))
+        if best is None or round(v, 12) > best[1]:
+            best = (t, round(v, 12))
+    return best
+
+
+@pytest.fixture(scope="module")
+def tables(spark, data):
+    d = data("0.01")
+    return spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+
+
+def test_grid_equals_plain_loops(spark, tables):
+    """Settings of the wide grid too, which has no twin in SQL, over whole texts."""
+    settings = [Setting(), Setting(metric="ttr", eps=1.0, lam=0.1), Setting(metric="zipf", n=4, d="jsd", top_k=100, lam=10.0), Setting(metric="zipf", n=5, d="kl_qp", eps=2.0, norm="difference"), Setting(g="entropy", n=10), Ensemble((Setting(unit="token", n=3), Setting(n=6)))]
+    got = {(r.signature, r.tuned_on, r.tested_on): r for r in tuning.grid_results(*tables, settings).collect()}
+    rows = tasks.classified(*tables, unsure=False).collect()
+    _, scores = metrics.score_texts([r.text for r in rows], settings)
+    assert len(got) == 4 * len(settings)
+    for (i, s), a, b in itertools.product(enumerate(settings), tasks.TASKS, tasks.TASKS):
+        of = lambda task, half: [(r.label_class == "natural", round(x + 1e-10, 6)) for r, x in zip(rows, scores[:, i].tolist()) if r.half == half and r.label_class in tasks.TASKS[task] and x == x]
+        t, value = brute(of(a, "tune"), 0.5, "f1")
+        test = of(b, "test")
+        tp, fp = sum(g and x <= t for g, x in test) / sum(g for g, _ in test), sum((not g) and x <= t for g, x in test) / sum(not g for g, _ in test)
+        r = got[signature(s), a, b]
+        assert (r.threshold, r.tune_value, r.test_f1) == (pytest.approx(t), pytest.approx(value), pytest.approx(2 * tp / (tp + fp + 1)))
+
+
+def test_learned_thresholds_equal_a_scan(spark, tables):
+    named = {"moment": Setting(), "zipf": Setting(metric="zipf", n=4)}
+    got = {(r.name, r.operating_point): (r.threshold, r.value) for r in tuning.learned_thresholds(*tables, named).collect()}
+    rows = tasks.classified(*tables, unsure=False).where("half = 'tune'").collect()
+    for (name, s), (point, (share, objective)) in itertools.product(named.items(), tuning.OPERATING_POINTS.items()):
+        x = metrics.score_texts([r.text for r in rows], [s])[1][:, 0].tolist()
+        assert got[name, point] == pytest.approx(brute([(r.label_class == "natural", round(v + 1e-10, 6)) for r, v in zip(rows, x) if v == v], share, objective))
+
+
+def test_boundary_at_bench_size(spark, data):
+    """About 1.3, as the labelled documents of sf0.1 have it."""
+    assert 1.1 < workloads.boundary(spark, data("0.1")).first().threshold < 1.5
+
+
+def test_one_counting_pass(spark, tables, monkeypatch):
+    """Texts are read and scored by one job; what follows reads the written scores."""
+    seen = []
+    monkeypatch.setattr(tuning, "written", lambda df, name: seen.append(df) or df.sparkSession.createDataFrame([], df.schema))
+    out = tuning.grid_results(*tables, [Setting(), Setting(metric="ttr")])
+    assert len(seen) == 1 and seen[0]._jdf.queryExecution().executedPlan().toString().count("ArrowEvalPython") == 1
+    assert "ArrowEvalPython" not in out._jdf.queryExecution().executedPlan().toString()

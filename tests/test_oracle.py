@@ -37,10 +37,24 @@ def test_query_equals_sql(spark, duck, name):
 
 
 def test_the_rest_run_by_rows(spark):
-    few = {"grid_overfit", "grid_full", "parameter_effect", "best_setting_per_n"}
-    for name in sorted(set(workloads.queries()) - set(SQL) - few):
+    for name in sorted(set(workloads.queries()) - set(SQL)):
         assert workloads.queries()[name](spark, D).count() > 0, name
 
 
 def test_entry_has_rows(spark):
     assert entry.entry(spark).count() == 200
+
+
+def test_sketches_are_close(spark, duck):
+    """The two approximate queries against exact numbers."""
+    exact = dict(duck.execute("SELECT lang, count(DISTINCT g) FROM (SELECT lang, substr(text, i, 3) AS g FROM documents, unnest(range(1, length(text)::BIGINT - 1)) AS u(i)) GROUP BY lang").fetchall())
+    got = {r.lang: r.n_types for r in workloads.queries()["vocabulary_size"](spark, D).collect()}
+    assert got.keys() == exact.keys() and all(abs(got[k] / exact[k] - 1) < 0.1 for k in got)
+    rows = {r.signature: r for r in workloads.queries()["score_quantiles"](spark, D).collect()}
+    scores = sorted(r.score for r in workloads.queries()["moment_sq_char6"](spark, D).collect() if r.score is not None)
+    assert rows[workloads.signature(workloads.MOMENT6)].p50 == pytest.approx(scores[(len(scores) - 1) // 2], abs=1e-3)
+
+
+def test_run_cost(spark):
+    r = workloads.queries()["run_cost"](spark, D).first()
+    assert r.n_docs == 200 and r.n_chars == spark.read.parquet(f"{D}/documents.parquet").selectExpr("sum(length(text))").first()[0] and r.seconds > 0 and r.spectrum_bytes_per_doc > 16

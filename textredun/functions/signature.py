@@ -35,7 +35,7 @@ class Setting:
     asymptote: float = 2000.0
     mode: str = "clamp"
     norm: str = "ratio"
-    cap: int | None = 5000
+    cap: int | None = None
 
     def __post_init__(self):
         for value, known in ((self.metric, METRICS), (self.g, NONLINEARITIES), (self.d, DISTANCES), (self.mode, LENGTH_MODES), (self.norm, NORMS), (self.support, SUPPORTS), (self.eps_on, EPS_ON)):
@@ -52,17 +52,44 @@ class Setting:
         return replace(self, **changes)
 
 
+@dataclass(frozen=True)
+class Ensemble:
+    """The mean of several scores of one metric: of more n-gram lengths, or of characters and words."""
+
+    members: tuple[Setting, ...]
+
+    def __post_init__(self):
+        if len({m.metric for m in self.members}) != 1 or len({m.cap for m in self.members}) != 1:
+            raise ValueError("an ensemble needs members of one metric, over texts of one cap")
+
+    @property
+    def metric(self) -> str:
+        return self.members[0].metric
+
+    @property
+    def cap(self) -> int | None:
+        return self.members[0].cap
+
+    def but(self, **changes) -> Ensemble:
+        return Ensemble(tuple(m.but(**changes) for m in self.members))
+
+
+def members(s: Setting | Ensemble) -> tuple[Setting, ...]:
+    return s.members if isinstance(s, Ensemble) else (s,)
+
+
 def _text(x) -> str:
     if x is None or x == math.inf:
         return "inf"
     return repr(int(x)) if float(x) == int(x) else repr(float(x))
 
 
-def signature(s: Setting) -> str:
-    """Text with every parameter that the metric uses, in a fixed order."""
-    parts = [s.metric, f"u={s.unit}", f"n={s.n}"]
+def signature(s: Setting | Ensemble) -> str:
+    """Text with every parameter that the metric uses, in a fixed order; of an ensemble, its members' in brackets."""
+    if isinstance(s, Ensemble):
+        return "mean(" + ";".join(map(signature, s.members)) + ")"
+    parts = [s.metric, f"u={s.unit}", f"n={s.n}", f"lam={_text(s.lam)}", f"eps={_text(s.eps)}@{s.eps_on}", f"k={_text(s.top_k)}"]
     if s.metric != "ttr":
-        parts += [f"lam={_text(s.lam)}", f"eps={_text(s.eps)}@{s.eps_on}", f"k={_text(s.top_k)}"]
         parts.append(f"g={s.g}{_text(s.k) if s.g == 'pow' else ''}" if s.metric == "moment" else f"d={s.d}")
         if s.metric == "zipf":
             parts.append(f"q=power:{_text(s.exponent)}:{_text(s.shift)}:{s.support}")
@@ -74,8 +101,10 @@ def _number(t: str) -> float:
     return math.inf if t == "inf" else float(t)
 
 
-def parse_signature(text: str) -> Setting:
+def parse_signature(text: str) -> Setting | Ensemble:
     """The setting that a signature names. An unknown or missing field is an error."""
+    if text.startswith("mean(") and text.endswith(")"):
+        return Ensemble(tuple(map(parse_signature, text[5:-1].split(";"))))
     metric, *rest = text.split("|")
     got: dict = {"metric": metric}
     pairs = [p.partition("=")[::2] for p in rest]

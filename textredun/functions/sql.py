@@ -17,13 +17,7 @@ from textredun.operators import kernel, metrics
 
 def score_texts(texts: list[str | None], name: str) -> list[float | None]:
     """Scores of texts under a signature."""
-    s = parse_signature(name)
-    cut = ["" if t is None else t if s.cap is None else t[: s.cap] for t in texts]
-    codes, ends = kernel.units_of(cut, s.unit)
-    out = [None] * len(texts)
-    for _, total, types, at, c, v in kernel.spectra_of(codes, ends, [s.n]):
-        out = [None if x != x else float(x) for x in metrics.score_spectra(c, v, at, total, types, s)]
-    return out
+    return [None if x != x else float(x) for x in metrics.score_texts(texts, [parse_signature(name)])[1][:, 0]]
 
 
 @F.pandas_udf(T.DoubleType())

@@ -78,3 +78,24 @@ def bootstrap_interval(values: list[float], draws: int = 2000, seed: int = 0) ->
     x = np.asarray(values, dtype=float)
     means = np.random.default_rng(seed).choice(x, (draws, len(x))).mean(axis=1)
     return float(x.mean()), float(np.quantile(means, 0.025)), float(np.quantile(means, 0.975))
+
+
+def run_cost(result: DataFrame, docs: DataFrame, spectra: DataFrame, text_col: str = "text") -> DataFrame:
+    """What a run costs: ``n_docs, n_chars, seconds, docs_per_second, chars_per_second, spectrum_bytes_per_doc, shuffles``.
+
+    ``result`` is run to its end and thrown away; ``docs`` are what it reads, ``spectra`` what would be kept for reuse
+    (16 bytes an entry); shuffles are those of its plan.
+    """
+    import contextlib
+    import io
+    import time
+
+    plan = io.StringIO()
+    with contextlib.redirect_stdout(plan):
+        result.explain()
+    began = time.time()
+    result.write.format("noop").mode("overwrite").save()
+    seconds = F.lit(time.time() - began)
+    size = docs.agg(F.count(F.lit(1)).alias("n_docs"), F.coalesce(F.sum(F.length(text_col).cast("bigint")), F.lit(0)).alias("n_chars"))
+    kept = spectra.agg(F.avg(F.size("spectrum") * 16.0).alias("spectrum_bytes_per_doc"))
+    return size.crossJoin(F.broadcast(kept)).select("n_docs", "n_chars", seconds.alias("seconds"), (F.col("n_docs") / seconds).alias("docs_per_second"), (F.col("n_chars") / seconds).alias("chars_per_second"), "spectrum_bytes_per_doc", F.lit(plan.getvalue().count("Exchange")).alias("shuffles"))

@@ -1,23 +1,24 @@
-"""Scores of spectra.
+"""Scores of documents and of spectra.
 
-``score`` takes any setting and works batch by batch in numpy, all entries of all
-documents at once; ``native_score`` is the same for the settings that array functions can say
-(all but the rank-by-rank distances), and stays in the JVM.
+``with_scores`` adds scores to the rows of a table: one function of the text counts and scores in
+numpy, only texts go to the workers and only scores come back, and nothing is shuffled or joined.
+``score`` does so for spectra that are kept for reuse; ``native_score`` is the same for the
+settings that array functions can say (all but the rank-by-rank distances), and stays in the JVM.
 """
 
 from __future__ import annotations
 
-import functools
 import math
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Mapping, Sequence
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from textredun.functions.signature import Setting, signature
-from textredun.operators.spectrum import id_field
+from textredun.functions.signature import Ensemble, Setting, members, signature
+from textredun.operators import kernel
+from textredun.operators.spectrum import id_field, require_columns
 from textredun.operators.spectrum import spectra as spectra_of_docs
 
 TINY = 1e-12
@@ -80,9 +81,9 @@ class RankModel:
         return self
 
 
-@functools.lru_cache(maxsize=64)
 def power_model(exponent: float, shift: float) -> RankModel:
-    return RankModel(exponent, shift)
+    """Each worker makes a model once."""
+    return kernel.kept(("power model", exponent, shift), lambda: RankModel(exponent, shift))
 
 
 def uniform_reference(s: Setting, m: np.ndarray, model: RankModel | None = None) -> np.ndarray:
@@ -95,15 +96,21 @@ def uniform_reference(s: Setting, m: np.ndarray, model: RankModel | None = None)
         if s.g == "pow":
             return safe ** (1 - s.k)
         return np.log(safe) if s.g == "entropy" else np.log(safe) ** 2 / safe
-    model = model or power_model(s.exponent, s.shift)
-    out = np.zeros_like(m)
-    for value in np.unique(m):
-        ranks = int(value)
-        if ranks < 1:
-            continue
-        q = model.upto(ranks).q[:ranks] / max(model.sum_q[ranks], TINY)
-        out[m == value] = distance(q, np.full(ranks, 1 / value), s.d).sum()
-    return out
+    ranks = np.maximum(m, 0).astype(np.int64)
+    known = {} if model else kernel.kept(("uniform reference", s.d, s.exponent, s.shift), dict)
+    model = (model or power_model(s.exponent, s.shift)).upto(int(ranks.max(initial=1)))
+    scale = np.maximum(model.sum_q[ranks], TINY)
+    if s.d == "sq":
+        return np.where(ranks > 0, model.sum_q2[ranks] / scale**2 - 2 * model.sum_q[ranks] / scale / safe + ranks / safe**2, 0.0)
+    values, which = np.unique(m, return_inverse=True)
+    out = np.zeros(len(values))
+    for i, value in enumerate(values.tolist()):
+        if value >= 1:
+            if value not in known:
+                r = int(value)
+                known[value] = float(distance(model.q[:r] / max(model.sum_q[r], TINY), np.full(r, 1 / value), s.d).sum())
+            out[i] = known[value]
+    return out[which].reshape(m.shape)
 
 
 def shares(c: np.ndarray, v: np.ndarray, doc: np.ndarray, n_total: np.ndarray, s: Setting) -> tuple[np.ndarray, np.ndarray]:
@@ -121,24 +128,26 @@ def shares(c: np.ndarray, v: np.ndarray, doc: np.ndarray, n_total: np.ndarray, s
     return v, w / np.maximum(z, TINY)[doc]
 
 
-def score_spectra(c, v, ends, n_total, n_types, s: Setting, model: RankModel | None = None) -> np.ndarray:
-    """Scores of documents whose spectra are ``ends[i]:ends[i+1]`` of (c, v); NaN where there is no n-gram, or nothing to divide by."""
+def score_spectra(c, v, ends, n_total, n_types, s: Setting, model: RankModel | None = None, known: dict | None = None) -> np.ndarray:
+    """Scores of documents whose spectra are ``ends[i]:ends[i+1]`` of (c, v); NaN where there is no n-gram, or nothing to divide by.
+
+    ``known`` keeps what settings that differ in their length compensation alone have in common.
+    """
     docs = len(n_total)
-    doc = np.repeat(np.arange(docs), np.diff(ends))
     n_total = np.asarray(n_total, dtype=float)
     m = effective_length(n_total, s.asymptote, s.mode)
+    key = s if s.support == "bounded" else (s.metric, s.lam, s.eps, s.eps_on, s.top_k, s.g, s.k, s.d, s.exponent, s.shift)
+    raw = None if known is None else known.get(key)
+    if raw is None:
+        raw = _raw(np.asarray(c, dtype=float), np.asarray(v, dtype=float), np.repeat(np.arange(docs), np.diff(ends)), n_total, n_types, m, s, model)
+        if known is not None:
+            known[key] = raw
     if s.metric == "ttr":
-        raw = 1 - n_types / np.maximum(n_total, 1)
         return np.where(n_total > 0, raw, np.nan)
-    v, p = shares(np.asarray(c, dtype=float), np.asarray(v, dtype=float), doc, n_total, s)
-    if s.metric == "moment":
-        raw = np.bincount(doc, weights=v * nonlinear(p, s), minlength=docs)
-        if s.g == "entropy" and s.norm != "none":
-            # entropy is highest without repetition: turned round, 0 is none and 1 is all
-            log_m = np.log(np.maximum(m, 1.0))
-            return np.where(n_total > 0, np.where(log_m > 0, 1 - raw / np.maximum(log_m, TINY), np.nan), np.nan)
-    else:
-        raw = _zipf(v, p, doc, docs, m, s, model)
+    if s.g == "entropy" and s.metric == "moment" and s.norm != "none":
+        # entropy is highest without repetition: turned round, 0 is none and 1 is all
+        log_m = np.log(np.maximum(m, 1.0))
+        return np.where((n_total > 0) & (log_m > 0), 1 - raw / np.maximum(log_m, TINY), np.nan)
     if s.norm == "none":
         return np.where(n_total > 0, raw, np.nan)
     reference = uniform_reference(s, m, model)
@@ -148,6 +157,21 @@ def score_spectra(c, v, ends, n_total, n_types, s: Setting, model: RankModel | N
     return np.where(ok, raw / np.where(ok, reference, 1.0), np.nan)
 
 
+def _raw(c, v, doc, n_total, n_types, m, s: Setting, model: RankModel | None) -> np.ndarray:
+    """Scores before length compensation, for documents with n-grams."""
+    docs = len(n_total)
+    if s.metric == "ttr":
+        types, mass = n_types, n_total
+        if s.lam or s.eps or s.top_k is not None:
+            v, _ = shares(c, v, doc, n_total, s)
+            types, mass = np.bincount(doc, weights=v, minlength=docs), np.bincount(doc, weights=v * (c + s.lam), minlength=docs)
+        return np.where(mass > 0, 1 - types / np.where(mass > 0, mass, 1.0), 0.0)
+    v, p = shares(c, v, doc, n_total, s)
+    if s.metric == "moment":
+        return np.bincount(doc, weights=v * nonlinear(p, s), minlength=docs)
+    return _zipf(v, p, doc, docs, m, s, model)
+
+
 def _zipf(v, p, doc, docs, m, s: Setting, model: RankModel | None) -> np.ndarray:
     model = model or power_model(s.exponent, s.shift)
     types = np.bincount(doc, weights=v, minlength=docs).astype(np.int64)
@@ -172,6 +196,93 @@ def _zipf(v, p, doc, docs, m, s: Setting, model: RankModel | None) -> np.ndarray
     return out
 
 
+def score_texts(texts: list[str | None], settings: Sequence[Setting | Ensemble], models: Mapping[int, RankModel] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(number of n-grams [text, spec], scores [text, setting]); NaN where a score is not valid.
+
+    Specs are the different (unit, n) of the settings in order; texts are cut as a setting's ``cap`` says.
+    An ensemble is the mean of its members' valid scores.
+    """
+    texts = [t or "" for t in texts]
+    flat = list(dict.fromkeys(m for s in settings for m in members(s)))
+    at = {s: i for i, s in enumerate(flat)}
+    specs = {spec: i for i, spec in enumerate(specs_of(settings))}
+    totals, out = np.zeros((len(texts), len(specs)), dtype=np.int64), np.full((len(texts), len(flat)), np.nan)
+    wanted: dict[tuple, dict[int, list[Setting]]] = {}
+    for s in flat:
+        wanted.setdefault((s.cap, s.unit), {}).setdefault(s.n, []).append(s)
+    for (cap, unit), by_n in wanted.items():
+        for begin, part in kernel.slices(texts if cap is None else [t[:cap] for t in texts]):
+            rows = slice(begin, begin + len(part))
+            for n, total, types, ends, c, v in kernel.spectra_of(*kernel.units_of(part, unit), list(by_n)):
+                totals[rows, specs[unit, n]] = total
+                known: dict = {}
+                for s in by_n[n]:
+                    out[rows, at[s]] = score_spectra(c, v, ends, total, types, s, (models or {}).get(n), known)
+    out[~np.isfinite(out)] = np.nan
+    if any(isinstance(s, Ensemble) for s in settings):
+        columns = []
+        for s in settings:
+            x = out[:, [at[m] for m in members(s)]]
+            there = ~np.isnan(x)
+            n = there.sum(axis=1)
+            columns.append(np.where(n > 0, np.where(there, x, 0.0).sum(axis=1) / np.maximum(n, 1), np.nan))
+        return totals, np.stack(columns, axis=1)
+    return totals, out[:, [at[s] for s in settings]]
+
+
+def specs_of(settings: Sequence[Setting | Ensemble]) -> list[tuple[str, int]]:
+    return list(dict.fromkeys(m.spec for s in settings for m in members(s)))
+
+
+def score_column(text: Column, settings: Sequence[Setting | Ensemble], models: Mapping[int, RankModel] | None = None) -> Column:
+    """``struct<totals: array<bigint>, scores: array<double>>`` of a text: n-grams by spec, scores by setting (NULL where not valid).
+
+    Marked as not deterministic, so that Spark evaluates it once a row and not again in each filter on it.
+    """
+    settings = list(settings)
+
+    def run(texts: pa.Array) -> pa.Array:
+        totals, scores = score_texts(texts.to_pylist(), settings, models)
+        ends = lambda a: pa.array(np.arange(len(a) + 1, dtype=np.int32) * a.shape[1])
+        values = pa.array(scores.ravel(), mask=np.isnan(scores).ravel())
+        return pa.StructArray.from_arrays([pa.ListArray.from_arrays(ends(totals), pa.array(totals.ravel())), pa.ListArray.from_arrays(ends(scores), values)], ["totals", "scores"])
+
+    run.__annotations__ = {"texts": pa.Array, "return": pa.Array}
+    return F.arrow_udf(run, "struct<totals: array<bigint>, scores: array<double>>").asNondeterministic()(text)
+
+
+def with_scores(docs: DataFrame, settings: Mapping[str, Setting | Ensemble], text_col: str = "text", models: Mapping[int, RankModel] | None = None, totals: str | None = None) -> DataFrame:
+    """``docs`` with one double column for each name in ``settings``; NULL where a text has no n-gram or a score no reference.
+
+    Every row is scored on its own, whatever its id.  ``totals`` names a column for the number of n-grams of
+    the first setting.  A name that ``docs`` has already is an error; its other columns come back unchanged.
+    """
+    require_columns(docs, text_col)
+    new = [*settings, *([totals] if totals else [])]
+    clash = {c.lower() for c in docs.columns} & {n.lower() for n in new}
+    if clash or not settings:
+        raise ValueError(f"score columns need new names; taken: {sorted(clash)}")
+    held = "scored"
+    while held.lower() in {c.lower() for c in (*docs.columns, *new)}:
+        held = "_" + held
+    rows = docs.withColumn(held, score_column(F.col(f"`{text_col}`"), list(settings.values()), models))
+    scores = [F.get(F.col(f"{held}.scores"), i).alias(name) for i, name in enumerate(settings)]
+    return rows.select(*[F.col(f"`{c}`") for c in docs.columns], *scores, *([F.get(F.col(f"{held}.totals"), 0).alias(totals)] if totals else []))
+
+
+def score_documents(docs: DataFrame, settings: Setting | Ensemble | Sequence[Setting | Ensemble], models: Mapping[int, RankModel] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``doc_id, signature, n_total, score, valid``: each text under each setting (``n_total`` of an ensemble: of its first member)."""
+    settings = [settings] if isinstance(settings, (Setting, Ensemble)) else list(settings)
+    require_columns(docs, id_col, text_col)
+    specs = {spec: i for i, spec in enumerate(specs_of(settings))}
+    rows = docs.select(F.col(f"`{id_col}`").alias("doc_id"), score_column(F.col(f"`{text_col}`"), settings, models).alias("x"))
+    total, value = (lambda s: F.get("x.totals", specs[members(s)[0].spec])), (lambda i: F.get("x.scores", i))
+    if len(settings) == 1:
+        return rows.select("doc_id", F.lit(signature(settings[0])).alias("signature"), total(settings[0]).alias("n_total"), value(0).alias("score")).withColumn("valid", F.col("score").isNotNull())
+    each = F.array(*[F.struct(F.lit(signature(s)).alias("signature"), total(s).alias("n_total"), value(i).alias("score")) for i, s in enumerate(settings)])
+    return rows.select("doc_id", F.inline(each)).withColumn("valid", F.col("score").isNotNull())
+
+
 def flat(batch: pa.RecordBatch, column: str = "spectrum") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(c, v, ends) of a batch's spectra."""
     lists = batch.column(column)
@@ -256,8 +367,13 @@ def distinct_share(df: DataFrame) -> DataFrame:
 
 def native_score(spectra: DataFrame, s: Setting, g: Callable[[Column], Column] | None = None, name: str = "score") -> DataFrame:
     """``spectra`` with a score column, for ``ttr``, ``moment`` and any nonlinearity ``g`` of one's own (then without length compensation)."""
-    if s.metric == "ttr":
+    if s.metric == "ttr" and s.lam == 0 and s.eps == 0 and s.top_k is None:
         return spectra.withColumn(name, 1 - F.try_divide(F.col("n_types"), F.col("n_total")))
+    if s.metric == "ttr":
+        kept = clip_top(clip_eps(F.col("spectrum"), s.eps, s.eps_on, F.col("n_total")), s.top_k)
+        types = F.aggregate(kept, F.lit(0.0), lambda a, e: a + e["v"])
+        mass = F.aggregate(kept, F.lit(0.0), lambda a, e: a + e["v"] * (e["c"] + F.lit(s.lam)))
+        return spectra.withColumn(name, F.when(F.col("n_total") > 0, F.coalesce(1 - F.try_divide(types, mass), F.lit(0.0))))
     if s.metric != "moment":
         raise ValueError("rank distances have no array form here; use score()")
     forms = {"pow": lambda p: F.pow(p, F.lit(s.k)), "entropy": lambda p: -p * F.ln(p), "sq_entropy": lambda p: F.pow(p * F.ln(p), F.lit(2.0))}
@@ -317,13 +433,13 @@ def mean_rank_shares(spectra: DataFrame) -> DataFrame:
     return sums.join(F.broadcast(docs), "n").select("n", F.col("rank").cast("bigint").alias("rank"), (F.col("total") / F.col("docs")).alias("share"))
 
 
-def empirical_models(spectra: DataFrame, max_rank: int = 200_000) -> dict[int, RankModel]:
-    """Rank models by n-gram length from clean documents. A capped text has few ranks; more than ``max_rank`` is refused."""
-    widest = spectra.agg(F.max("n_types")).first()[0] or 0
-    if widest > max_rank:
-        raise ValueError(f"{widest} ranks are more than {max_rank}; cap the texts")
+def empirical_models(spectra: DataFrame, max_ranks: int = 200_000) -> dict[int, RankModel]:
+    """Rank models by n-gram length from clean documents, kept to the first ``max_ranks`` ranks; the mean share of the ranks behind them counts as 0.
+
+    What the driver takes is thus bounded, however long the longest text is.
+    """
     out: dict[int, list] = {}
-    for n, rank, share in mean_rank_shares(spectra).orderBy("n", "rank").collect():
+    for n, rank, share in mean_rank_shares(spectra).where(F.col("rank") <= max_ranks).orderBy("n", "rank").toLocalIterator():
         out.setdefault(n, []).append(share)
     return {n: RankModel(shares=x) for n, x in out.items()}
 

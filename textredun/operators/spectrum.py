@@ -17,7 +17,7 @@ from pyspark.sql.window import Window
 
 from textredun.operators import kernel
 
-CAP = 5000
+BENCHMARK_CAP = 5000  # what labelled benchmark texts may be cut to; nothing is cut unless asked for
 COLUMNS = "unit string, n int, n_total bigint, n_types bigint, spectrum array<struct<c: bigint, v: bigint>>"
 Spec = tuple[str, int]
 
@@ -33,19 +33,28 @@ def id_field(df: DataFrame) -> str:
     return f"doc_id {df.schema['doc_id'].dataType.simpleString()}"
 
 
-def capped(text: Column, cap: int | None = CAP) -> Column:
+def capped(text: Column, cap: int | None = None) -> Column:
     """The first ``cap`` code points."""
     return text if cap is None else F.substring(text, 1, cap)
 
 
-def cap_text(df: DataFrame, max_chars: int | None = CAP, text_col: str = "text") -> DataFrame:
+def cap_text(df: DataFrame, max_chars: int | None = BENCHMARK_CAP, text_col: str = "text") -> DataFrame:
     return df.withColumn(text_col, capped(F.col(text_col), max_chars))
 
 
-def char_ngrams(text: Column, n: int) -> Column:
-    """All character n-grams as an array; empty for shorter texts."""
-    places = F.sequence(F.lit(1), F.length(text) - (n - 1))
-    return F.when(F.length(text) >= n, F.transform(places, lambda i: F.substring(text, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
+def char_ngrams(text: Column, n: int, step: int = 512) -> Column:
+    """All character n-grams as an array; empty for shorter texts.
+
+    A substring is found by counting from the start of its string, so the text is first cut into
+    stretches of ``step`` places: the time stays in proportion to the text.
+    """
+
+    def within(start: Column) -> Column:
+        places = F.sequence(F.lit(1), F.least(F.lit(step), F.length(text) - (n - 1) - start))
+        return _bind(F.substring(text, start + 1, F.lit(step + n - 1)), lambda part: F.transform(places, lambda i: F.substring(part, i, F.lit(n))))
+
+    starts = F.sequence(F.lit(0), F.length(text) - n, F.lit(step))
+    return F.when(F.length(text) >= n, F.flatten(F.transform(starts, within))).otherwise(F.array().cast("array<string>"))
 
 
 def tokens(text: Column) -> Column:
@@ -81,15 +90,15 @@ def _texts(df: DataFrame, cap: int | None, id_col: str, text_col: str) -> DataFr
     return df.select(F.col(id_col).alias("doc_id"), capped(F.col(text_col), cap).alias("text"))
 
 
-def _arrow(rows: DataFrame, specs: Sequence[Spec], chunk: int = 100) -> DataFrame:
+def _arrow(rows: DataFrame, specs: Sequence[Spec]) -> DataFrame:
     by_unit: dict[str, list[int]] = {}
     for unit, n in specs:
         by_unit.setdefault(unit, []).append(n)
 
     def run(batches):
         for whole in batches:
-            for b in (whole.slice(i, chunk) for i in range(0, whole.num_rows, chunk)):
-                texts = [t or "" for t in b.column(1).to_pylist()]
+            for begin, texts in kernel.slices([t or "" for t in whole.column(1).to_pylist()]):
+                b = whole.slice(begin, len(texts))
                 for unit, lengths in by_unit.items():
                     codes, ends = kernel.units_of(texts, unit)
                     for n, total, types, cut, c, v in kernel.spectra_of(codes, ends, lengths):
@@ -148,11 +157,11 @@ def _relational(rows: DataFrame, specs: Sequence[Spec]) -> DataFrame:
     return out
 
 
-def spectra(df: DataFrame, specs: Sequence[Spec], strategy: str = "arrow", cap: int | None = CAP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def spectra(df: DataFrame, specs: Sequence[Spec], strategy: str = "arrow", cap: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, unit, n, n_total, n_types, spectrum`` for each row of ``df`` and each (unit, n) of ``specs``.
 
     A NULL text counts as an empty one: no n-grams, an empty spectrum.  Rows with the same id
-    are counted apart.
+    are counted apart.  Texts are read whole unless ``cap`` says how many code points to keep.
     """
     specs = list(dict.fromkeys((u, int(n)) for u, n in specs))
     if not specs or any(n < 1 for _, n in specs):
@@ -164,7 +173,51 @@ def spectra(df: DataFrame, specs: Sequence[Spec], strategy: str = "arrow", cap:
     return ways[strategy](rows, specs)
 
 
-def gram_histogram(df: DataFrame, unit: str = "char", n: int = 6, top: int | None = None, cap: int | None = CAP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def line_spectra(lines: DataFrame, key: str, order: Sequence[str], line: Column, n: int) -> DataFrame:
+    """Spectra (``doc_id``: the key) of character n-grams of documents that are the lines of a key in order, joined by line ends.
+
+    No document is ever put together: each line is counted with the first n - 1 characters of what
+    follows it, so a document may be longer than any row.  ``order`` must tell the lines of a key apart.
+    NULL lines are left out.
+    """
+    rows = lines.select(F.col(key).alias("doc_id"), *[F.col(c).alias(f"o{i}") for i, c in enumerate(order)], line.alias("line")).where("line IS NOT NULL")
+    w = Window.partitionBy("doc_id").orderBy(*[f"o{i}" for i in range(len(order))])
+    after = [F.coalesce(F.concat(F.lit("\n"), F.substring(F.lead("line", i).over(w), 1, n)), F.lit("")) for i in range(1, n + 1)]
+    whole = rows.select("doc_id", (F.length("line") + F.when(F.lead("line", 1).over(w).isNotNull(), 1).otherwise(0)).alias("own"), F.concat("line", *after).alias("t"))
+    places = F.explode(F.when(F.length("t") >= n, F.sequence(F.lit(1), F.least("own", F.length("t") - (n - 1)))))
+    grams = whole.where("own > 0").select("doc_id", "t", places.alias("i")).select("doc_id", F.substring("t", F.col("i"), F.lit(n)).alias("gram"))
+    levels = grams.groupBy("doc_id", "gram").agg(F.count(F.lit(1)).alias("c")).groupBy("doc_id", "c").agg(F.count(F.lit(1)).alias("v"))
+    return _gathered(levels, "char", n)
+
+
+def _gathered(levels: DataFrame, unit: str, n: int) -> DataFrame:
+    """Spectra from rows ``doc_id, c, v``."""
+    one = levels.groupBy("doc_id").agg(F.sum(F.col("c") * F.col("v")).alias("n_total"), F.sum("v").alias("n_types"), F.sort_array(F.collect_list(F.struct("c", "v")), asc=False).alias("spectrum"))
+    return one.select("doc_id", F.lit(unit).alias("unit"), F.lit(n).alias("n"), "n_total", "n_types", "spectrum")
+
+
+def pooled_counts(df: DataFrame, unit: str = "char", n: int = 3, group: str | None = None, cap: int | None = None, text_col: str = "text") -> DataFrame:
+    """``doc_id, gram, c``: how often each n-gram occurs in all texts of a group together (``doc_id`` is the group; NULL without one).
+
+    One shuffle of counts already added up inside each task; an n-gram never spans two texts.
+    """
+    of = F.lit(None).cast("string") if group is None else F.col(group)
+    rows = df.select(of.alias("doc_id"), capped(F.col(text_col), cap).alias("text")).where("text IS NOT NULL")
+    return rows.select("doc_id", F.explode(grams_of(F.col("text"), unit, n)).alias("gram")).groupBy("doc_id", "gram").agg(F.count(F.lit(1)).alias("c"))
+
+
+def pooled_spectra(counts: DataFrame, unit: str = "char", n: int = 3) -> DataFrame:
+    """Spectra of whole groups from ``pooled_counts``. Spectra of texts can't simply be added: equal n-grams of two texts are one."""
+    return _gathered(counts.groupBy("doc_id", "c").agg(F.count(F.lit(1)).alias("v")), unit, n)
+
+
+def corpus_histogram(counts: DataFrame, top: int | None = None) -> DataFrame:
+    """``doc_id, gram, cnt, rank`` of each group of ``pooled_counts``, by falling count, equal counts by n-gram."""
+    ranked = counts.select("doc_id", "gram", F.col("c").alias("cnt"), F.row_number().over(Window.partitionBy("doc_id").orderBy(F.desc("c"), "gram")).alias("rank"))
+    return ranked if top is None else ranked.where(F.col("rank") <= top)
+
+
+def gram_histogram(df: DataFrame, unit: str = "char", n: int = 6, top: int | None = None, cap: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, gram, cnt, rank``: the n-grams of each document by falling count, equal counts by n-gram."""
     rows = _texts(df, cap, id_col, text_col).where("text IS NOT NULL")
     counts = rows.select("doc_id", F.explode(grams_of(F.col("text"), unit, n)).alias("gram")).groupBy("doc_id", "gram").agg(F.count(F.lit(1)).alias("cnt"))
@@ -172,11 +225,11 @@ def gram_histogram(df: DataFrame, unit: str = "char", n: int = 6, top: int | Non
     return ranked if top is None else ranked.where(F.col("rank") <= top)
 
 
-def window_ttr(df: DataFrame, unit: str = "token", width: int = 50, stride: int = 50, cap: int | None = CAP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def window_ttr(df: DataFrame, unit: str = "token", width: int = 50, stride: int = 1, cap: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_windows, score``: mean share of distinct units over windows of ``width`` units, every ``stride`` units.
 
-    A window shorter than ``width`` counts only where it is the document's only one; no units: NULL.  A stride over 1
-    may leave the last units in no window.  With a stride of 1 the time grows with the units, not with the width.
+    A window shorter than ``width`` counts only where it is the document's only one; no units: NULL.  The last window
+    ends where the text does, so every unit is in one.  With a stride of 1 the time grows with the units, not with the width.
     """
 
     def moving(u: list[str]) -> tuple[int, float | None]:
@@ -200,7 +253,8 @@ def window_ttr(df: DataFrame, unit: str = "token", width: int = 50, stride: int
                     windows.append(n)
                     score.append(mean)
                     continue
-                starts = range(0, max(len(u) - width, 0) + 1, stride) if u else ()
+                last = max(len(u) - width, 0)
+                starts = sorted({*range(0, last + 1, stride), last}) if u else ()
                 shares = [len(set(u[s : s + width])) / len(u[s : s + width]) for s in starts]
                 windows.append(len(shares))
                 score.append(sum(shares) / len(shares) if shares else None)

@@ -6,8 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from textredun.operators.spectrum import CAP, capped, tokens
-from textredun.sources.documents import spread
+from textredun.operators.spectrum import capped, tokens
 
 TASKS = {"repeat": ("natural", "repetitive"), "noise": ("natural", "repetitive", "noise")}
 
@@ -19,17 +18,19 @@ def stutter_share(text: Column) -> Column:
     return F.try_divide(F.aggregate(pairs, F.lit(0), lambda a, x: a + x), F.size(w))
 
 
-def classified(docs: DataFrame, labels: DataFrame, cap: int | None = CAP) -> DataFrame:
+def classified(docs: DataFrame, labels: DataFrame, cap: int | None = None, unsure: bool = True) -> DataFrame:
     """``doc_id, text, lang, label_class, half``.
 
     Quality 1 is ``natural``; quality 0 is ``repetitive`` if over 0.3 of the words repeat the one before, else
-    ``noise``; documents without a label are ``unsure``.  ``half`` (tune or test) hangs on the text alone, so copies
-    never part.
+    ``noise``; documents without a label are ``unsure``, and left out where ``unsure`` is False.  ``half`` (tune or
+    test) hangs on the whole text alone, so copies never part.  ``cap`` cuts texts to so many code points.
     """
     y = labels.groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    rows = spread(docs.select("doc_id", "text", "lang")).select("doc_id", capped(F.col("text"), cap).alias("text"), "lang", F.md5("text").alias("digest")).join(y, "doc_id", "left")
-    label = F.when(F.col("quality") == 1, "natural").when(F.col("quality").isNull(), "unsure").when(stutter_share(F.col("text")) > 0.3, "repetitive").otherwise("noise")
-    return rows.select("doc_id", "text", "lang", label.alias("label_class"), half_of(F.col("digest")).alias("half"))
+    text = capped(F.col("text"), cap)
+    # what needs the text is computed before the join, so that counts of classes move no texts
+    rows = docs.select("doc_id", text.alias("text"), "lang", half_of(F.md5("text")).alias("half"), (stutter_share(text) > 0.3).alias("stutters"))
+    label = F.when(F.col("quality") == 1, "natural").when(F.col("quality").isNull(), "unsure").when(F.col("stutters"), "repetitive").otherwise("noise")
+    return rows.join(y, "doc_id", "left" if unsure else "inner").select("doc_id", "text", "lang", label.alias("label_class"), "half").where(F.lit(unsure) | (F.col("label_class") != "unsure"))
 
 
 def half_of(digest: Column) -> Column:

@@ -28,14 +28,9 @@ def read_documents(spark: SparkSession, path: str | list[str], format: str = "pa
 
 
 def spread(df: DataFrame) -> DataFrame:
-    """``df`` over all cores where it is a plain scan of fewer partitions than there are (a few small files); anything else stays as it is.
-
-    Plans with a shuffle or broadcast are left alone: to count their partitions they would have to run.
-    """
-    if "AdaptiveSparkPlan" in df._jdf.queryExecution().executedPlan().toString():
-        return df
+    """For tables of a few files whose row groups can't be split, on many cores: the rows dealt out over all of them. Moves every text once; a table of as many files as there are cores stays as it is."""
     cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+    return df.repartition(cores) if len(df.inputFiles()) < cores else df
 
 
 def _joined(df: DataFrame, key: str, order: list[str], line: Column, glue: str = "\n") -> DataFrame:
@@ -44,10 +39,13 @@ def _joined(df: DataFrame, key: str, order: list[str], line: Column, glue: str =
     return df.groupBy(F.col(key)).agg(F.array_join(lines, glue).alias("text"))
 
 
+def catalogue_line() -> Column:
+    return F.concat_ws(" ", "p_name", "p_type", F.lit("size"), F.col("p_size").cast("string"), F.concat(F.lit("$"), F.format_string("%.2f", "p_retailprice")))
+
+
 def catalogue_docs(part: DataFrame) -> DataFrame:
-    """A price list per brand: one line ``name type size N $price`` per item, by key."""
-    line = F.concat_ws(" ", "p_name", "p_type", F.lit("size"), F.col("p_size").cast("string"), F.concat(F.lit("$"), F.format_string("%.2f", "p_retailprice")))
-    return _joined(part, "p_brand", ["p_partkey"], line).withColumnRenamed("p_brand", "doc_id")
+    """A price list per brand as one text: one line ``name type size N $price`` per item, by key. For brands whose lists are too long for a row, see ``spectrum.line_spectra``."""
+    return _joined(part, "p_brand", ["p_partkey"], catalogue_line()).withColumnRenamed("p_brand", "doc_id")
 
 
 def event_log_docs(events: DataFrame) -> DataFrame:
