@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
 from textredun.llm import bpe, licenses, lm, quality, toxicity, warc
 from textredun.llm.common import documents, labels
 from textredun.llm.exact_dedup import exact_dedup
@@ -62,8 +64,8 @@ def op6_warc_records(spark, sf_dir):
 
 
 def op6_warc(spark, sf_dir):
-    """The fields of these records, which SQL can say too."""
-    return op6_warc_records(spark, sf_dir).drop("record")
+    """The fields of these records and a digest of their bytes, which SQL can say too."""
+    return op6_warc_records(spark, sf_dir).withColumn("record_sha1", F.sha1("record")).drop("record")
 
 
 # The digests of SQL are in hexadecimal; five digits of it are four of base 32.
@@ -71,6 +73,7 @@ B32 = """'sha1:' || list_aggregate(list_transform(range(32), lambda i: substr('A
   (((('0x' || substr({h}, ((i // 4) * 5 + 1)::INTEGER, 5))::BIGINT >> (15 - 5 * (i % 4))::INTEGER) & 31) + 1)::INTEGER, 1)), 'string_agg', '')"""
 UUID = """'<urn:uuid:' || substr({h}, 1, 8) || '-' || substr({h}, 9, 4) || '-5' || substr({h}, 14, 3) || '-'
   || substr('89ab', ((('0x' || substr({h}, 17, 1))::INTEGER & 3) + 1)::INTEGER, 1) || substr({h}, 18, 3) || '-' || substr({h}, 21, 12) || '>'"""
+# A record's bytes are all valid text here, so SQL can put them together and take their digest.
 OP6_SQL = f"""
 WITH p AS (
   SELECT page_id AS doc_id, (1 + page_id % 2)::INTEGER AS v, url, html,
@@ -82,16 +85,28 @@ r AS (
          concat_ws(chr(13) || chr(10), 'software: arc converter', 'format: WARC File Format 1.0', 'isPartOf: page-' || doc_id || '.arc', 'arcVersion: ' || v, '') AS block
   FROM p
   UNION ALL
-  SELECT doc_id, 1, v, 'response', warc_date, url, '192.0.2.1', 'application/http; msgtype=response', html,
+  SELECT doc_id, 1, v, 'metadata', warc_date, 'filedesc://page-' || doc_id || '.arc', '0.0.0.0', 'text/plain', NULL,
+         v || ' 0 crawl' || chr(10) || CASE v WHEN 1 THEN 'URL IP-address Archive-date Content-type Archive-length' ELSE 'URL IP-address Archive-date Content-type Result-code Checksum Location Offset Filename Archive-length' END || chr(10)
+  FROM p
+  UNION ALL
+  SELECT doc_id, 2, v, 'response', warc_date, url, '192.0.2.1', 'application/http; msgtype=response', html,
          concat_ws(chr(13) || chr(10), 'HTTP/1.0 200 OK', 'Content-Type: text/html', '', html)
   FROM p),
 h AS (SELECT *, sha1(block) AS hb, sha1(coalesce(payload, block)) AS hp FROM r),
 d AS (SELECT *, {B32.format(h="hb")} AS block_digest, {B32.format(h="hp")} AS payload_digest FROM h),
-n AS (SELECT *, sha1(concat_ws(chr(10), warc_type, target_uri, warc_date, block_digest)) AS hn FROM d)
-SELECT doc_id, record_no, v AS arc_version, warc_type, {UUID.format(h="hn")} AS record_id, warc_date, target_uri, ip_address, content_type,
+n AS (SELECT *, sha1(concat_ws(chr(10), doc_id || '#' || record_no, warc_type, target_uri, warc_date, block_digest)) AS hn FROM d),
+i AS (SELECT *, {UUID.format(h="hn")} AS record_id FROM n),
+w AS (SELECT *, max(CASE WHEN warc_type = 'warcinfo' THEN record_id END) OVER (PARTITION BY doc_id) AS info FROM i)
+SELECT doc_id, record_no, v AS arc_version, warc_type, record_id, warc_date, target_uri, ip_address, content_type,
        strlen(block)::BIGINT AS content_length, strlen(coalesce(payload, block))::BIGINT AS payload_length,
-       block_digest, payload_digest, NULL::VARCHAR AS problem
-FROM n
+       block_digest, payload_digest, NULL::VARCHAR AS problem,
+       sha1(concat_ws(chr(13) || chr(10), 'WARC/1.0', 'WARC-Type: ' || warc_type, 'WARC-Record-ID: ' || record_id, 'WARC-Date: ' || warc_date, 'Content-Type: ' || content_type,
+         'Content-Length: ' || strlen(block), 'WARC-Block-Digest: ' || block_digest,
+         CASE WHEN warc_type = 'warcinfo' THEN 'WARC-Filename: ' || substr(target_uri, 12) END,
+         CASE WHEN warc_type <> 'warcinfo' THEN 'WARC-Target-URI: ' || replace(target_uri, ' ', '%20') END, CASE WHEN warc_type <> 'warcinfo' THEN 'WARC-Payload-Digest: ' || payload_digest END,
+         CASE WHEN warc_type = 'response' THEN 'WARC-IP-Address: ' || ip_address END, CASE warc_type WHEN 'response' THEN 'WARC-Warcinfo-ID: ' || info WHEN 'metadata' THEN 'WARC-Refers-To: ' || info END,
+         '', block, '', '')) AS record_sha1
+FROM w
 """
 
 

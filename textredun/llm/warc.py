@@ -3,15 +3,17 @@
 An ARC file opens with a ``filedesc:`` record whose body names the version; every record
 is a header line, as many bytes as the line declares, and line ends.  The header of
 version 1 has five fields, that of version 2 ten.  WARC fields that ARC lacks are
-synthesised: record identifiers from a digest of what the record is (the same input
-always gives the same identifiers), dates from the 14-digit stamp, record types from
-address and body, and SHA-1 digests of block and payload.  A file is a row of bytes; each
+synthesised: record identifiers from a digest of file, place and content (the same input
+always gives the same identifiers, and no two records of it share one), dates from the
+14-digit stamp, record types from address and body, and SHA-1 digests of block and payload.  The version
+block becomes a warcinfo record, and what it says itself a metadata record that refers to it.  A file is a row of bytes; each
 is converted on its own, so the work is one narrow pass.
 """
 
 from __future__ import annotations
 
 import base64
+import calendar
 import hashlib
 import re
 import time
@@ -100,10 +102,17 @@ def parse_arc(data: bytes, version: int = 1) -> Iterator[ArcRecord]:
         at, skipped = after + length, False
 
 
-def warc_date(stamp: str) -> str:
-    """``YYYYMMDDhhmmss``, short or long, as an ISO time; missing parts are their lowest value."""
+def warc_date(stamp: str) -> tuple[str, bool]:
+    """(``YYYYMMDDhhmmss``, short or long, as an ISO time, whether there is such a time).
+
+    Missing parts are their lowest value, and so are parts that no calendar has (month 13, 30 February, hour 24).
+    """
     full = (stamp + "00000101000000"[len(stamp) :])[:14] if len(stamp) < 14 else stamp[:14]
-    return f"{full[:4]}-{full[4:6]}-{full[6:8]}T{full[8:10]}:{full[10:12]}:{full[12:14]}Z"
+    year, month, day, hour, minute, second = (int(full[a:b]) for a, b in ((0, 4), (4, 6), (6, 8), (8, 10), (10, 12), (12, 14)))
+    good_month = month if 1 <= month <= 12 else 1
+    good_day = day if 1 <= day <= calendar.monthrange(max(year, 1), good_month)[1] else 1
+    good = (year, good_month, good_day, hour if hour < 24 else 0, minute if minute < 60 else 0, second if second < 60 else 0)
+    return "{:04d}-{:02d}-{:02d}T{:02d}:{:02d}:{:02d}Z".format(*good), good == (year, month, day, hour, minute, second)
 
 
 def digest(data: bytes) -> str:
@@ -124,40 +133,70 @@ def payload_start(body: bytes) -> int:
     return min(ends, default=len(body))
 
 
-def to_warc(r: ArcRecord, warcinfo: str | None = None) -> tuple:
-    """(type, identifier, date, address, ip, content type, block, payload length, block digest, payload digest, record bytes)."""
-    date, block, payload = warc_date(r.stamp), r.body, None
+def to_warc(r: ArcRecord, place: str = "", warcinfo: str | None = None) -> tuple:
+    """(type, identifier, date, address, ip, content type, block length, payload length, block digest, payload digest, problem, record bytes).
+
+    ``place`` tells the record from all others (its file and number).
+    """
+    (date, sound), block, payload, kind = warc_date(r.stamp), r.body, None, "warcinfo"
     if r.uri.startswith("filedesc:"):
-        kind, media = "warcinfo", "application/warc-fields"
+        media = "application/warc-fields"
         block = f"software: arc converter\r\nformat: WARC File Format 1.0\r\nisPartOf: {r.uri[len('filedesc:') :].lstrip('/')}\r\narcVersion: {r.version}\r\n".encode()
     elif STATUS.match(block):
         kind, media = "response", "application/http; msgtype=response"
         payload = block[payload_start(block) :]
     else:
         kind, media = ("response", "text/dns") if r.uri.startswith("dns:") else ("resource", r.media_type if "/" in r.media_type else "application/octet-stream")
+    problem = "; ".join(filter(None, [r.problem, None if sound else "no such date"])) or None
+    return _record(kind, place, date, r.uri, r.ip, media, block, payload, warcinfo, r.problem == "truncated", problem)
+
+
+def version_metadata(r: ArcRecord, place: str, warcinfo: str) -> tuple:
+    """What a version block says itself, byte for byte, as a metadata record that refers to the warcinfo made of it."""
+    date, _ = warc_date(r.stamp)
+    return _record("metadata", place, date, r.uri, r.ip, r.media_type if "/" in r.media_type else "text/plain", r.body, None, warcinfo, False, None)
+
+
+def _record(kind, place, date, uri, ip, media, block: bytes, payload: bytes | None, warcinfo: str | None, cut: bool, problem: str | None) -> tuple:
     of_block = digest(block)
     of_payload = of_block if payload is None else digest(payload)
-    name = identifier(kind, r.uri, date, of_block)
+    name = identifier(place, kind, uri, date, of_block)
     head = [("WARC-Type", kind), ("WARC-Record-ID", name), ("WARC-Date", date), ("Content-Type", media), ("Content-Length", len(block)), ("WARC-Block-Digest", of_block)]
     if kind == "warcinfo":
-        head.append(("WARC-Filename", r.uri[len("filedesc:") :].lstrip("/")))
+        head.append(("WARC-Filename", uri[len("filedesc:") :].lstrip("/")))
     else:
-        head += [("WARC-Target-URI", r.uri.replace(" ", "%20")), ("WARC-Payload-Digest", of_payload)]
-        if r.ip not in ("", "-", "0.0.0.0"):
-            head.append(("WARC-IP-Address", r.ip))
+        head += [("WARC-Target-URI", uri.replace(" ", "%20")), ("WARC-Payload-Digest", of_payload)]
+        if ip not in ("", "-", "0.0.0.0"):
+            head.append(("WARC-IP-Address", ip))
         if warcinfo:
-            head.append(("WARC-Warcinfo-ID", warcinfo))
-    if r.problem == "truncated":
+            head.append(("WARC-Refers-To" if kind == "metadata" else "WARC-Warcinfo-ID", warcinfo))
+    if cut:
         head.append(("WARC-Truncated", "length"))
     record = b"WARC/1.0\r\n" + "".join(f"{k}: {v}\r\n" for k, v in head).encode() + b"\r\n" + block + b"\r\n\r\n"
-    return kind, name, date, r.uri, r.ip, media, len(block), len(block if payload is None else payload), of_block, of_payload, record
+    return kind, name, date, uri, ip, media, len(block), len(block if payload is None else payload), of_block, of_payload, problem, record
+
+
+def file_records(data: bytes, key: str) -> Iterator[tuple[int, tuple]]:
+    """(ARC version, WARC record) of one ARC file in order; ``key`` tells the file from others."""
+    info, no = None, 0
+    for r in parse_arc(data):
+        out = to_warc(r, f"{key}#{no}", info)
+        yield r.version, out
+        no += 1
+        if out[0] == "warcinfo":
+            info = out[1]
+            if r.body:
+                yield r.version, version_metadata(r, f"{key}#{no}", info)
+                no += 1
 
 
 def arc_to_warc(files: DataFrame, id_col: str = "doc_id", bytes_col: str = "arc") -> DataFrame:
     """One row per record of each ARC file (plain or gzip), in the order of the file (``record_no``), with its WARC fields and bytes.
 
-    NULL and empty files give no records.  Files that repeat give their records each time;
-    NULL ids are kept.  ``problem`` is NULL for a sound record.  Other columns are ignored.
+    A version block gives two: a warcinfo and, with its own text, a metadata record.  NULL and empty files and empty
+    tables give no records; records of any length are converted whole.  NULL ids are kept.  Identifiers are made of id,
+    place and content, so they differ within a file and between files of different ids; rows that repeat (same
+    id, same file) give the same records, identifiers too.  ``problem`` is NULL for a sound record.  Other columns are ignored.
     Read files with ``spark.read.format("binaryFile")``.
     """
     rows = files.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{bytes_col}`").alias("arc")).where("arc IS NOT NULL")
@@ -171,13 +210,9 @@ def arc_to_warc(files: DataFrame, id_col: str = "doc_id", bytes_col: str = "arc"
         for b in batches:
             out, size = [], 0
             for key, data in zip(b.column(0).to_pylist(), b.column(1)):
-                info = None
-                for no, r in enumerate(parse_arc(data.as_py())):
-                    kind, name, *rest, record = to_warc(r, info)
-                    if kind == "warcinfo":
-                        info = name
-                    out.append((key, no, r.version, kind, name, *rest, r.problem, record))
-                    size += len(record)
+                for no, (version, record) in enumerate(file_records(data.as_py(), str(key))):
+                    out.append((key, no, version, *record))
+                    size += len(record[-1])
                     if size > 1 << 25:
                         yield batch(out)
                         out, size = [], 0
