@@ -2,16 +2,16 @@
 
 from __future__ import annotations
 
-import sys
-import tempfile
-import types
 from collections.abc import Iterable
 
 import numpy as np
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 import textredun.llm
+from textredun.operators.kernel import kept  # noqa: F401
+from textredun.sources.shared import shared_folder
 
 # Kernels travel to the workers by value, so executors need no copy of the package.
 cloudpickle.register_pickle_by_value(textredun.llm)
@@ -30,11 +30,10 @@ def fresh(df: DataFrame, *names: str) -> list[str]:
 
 
 def cut_lineage(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder the session names (a temporary one only where it names none)."""
-    spark = df.sparkSession
-    sc = spark.sparkContext
+    """Reliable checkpoint in the session's shared folder."""
+    sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
@@ -80,9 +79,16 @@ class Memo(dict):
         return value
 
 
-def kept(key, make):
-    """A value that a worker process makes once and keeps for its later tasks."""
-    held = sys.modules.setdefault("_kept_by_worker", types.ModuleType("_kept_by_worker")).__dict__
-    if key not in held:
-        held[key] = make()
-    return held[key]
+def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, least: int, id_col: str, text_col: str) -> DataFrame:
+    """``doc_id, text, y`` of at most ``least`` documents of each of the classes 0 and 1 of a label column, for training.
+
+    Drawn by a hash of the id among the labels that have a document, so the same on every run: labels
+    without one take no place.  Of an id's labels the greatest counts, of its texts the first in order.
+    NULL labels, ids and texts are left out.  Text is read for the ids drawn alone.
+    """
+    there = docs.select(F.col(f"`{id_col}`").alias("doc_id"))
+    y = labels.select("doc_id", F.col(column).alias("y")).where("y IN (0, 1) AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("y").alias("y")).join(there, "doc_id", "left_semi")
+    drawn = [y.where(F.col("y") == c).withColumn("h", F.xxhash64("doc_id")).orderBy("h", "doc_id").limit(least).drop("h") for c in (1, 0)]
+    text = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("text IS NOT NULL")
+    rows = text.join(F.broadcast(drawn[0].unionByName(drawn[1])), "doc_id")
+    return rows.groupBy("doc_id", "y").agg(F.min("text").alias("text")).orderBy(F.xxhash64("doc_id"), "doc_id").select("doc_id", "text", "y")

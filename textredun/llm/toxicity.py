@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textredun.llm.common import Memo, fresh, offsets
+from textredun.llm.common import Memo, fresh, labelled_sample, offsets
 
 SENTENCE = re.compile(r"[^.!?\n]+[.!?]*")
 WORD = re.compile(r"\w+")
@@ -81,6 +81,25 @@ def _candidates(sentences: list[list[set[str]]], y: np.ndarray, z: float = 4.0)
     return {f: i for i, f in enumerate(sorted(itertools.compress(names, good)))}
 
 
+def loss(theta: np.ndarray, flat, starts, row, owner, y, weight, decay: float) -> tuple[float, np.ndarray]:
+    """(negative log likelihood of the documents' labels under noisy-or with a penalty on weights, its gradient).
+
+    ``flat`` has the features of all sentences, which begin at ``starts``; ``row`` is the sentence of each, ``owner`` the
+    document of each sentence; the last of ``theta`` is the bias.
+    """
+    z = np.clip(np.add.reduceat(theta[flat], starts) + theta[-1], -30, 30)
+    log_clean = -np.logaddexp(0, z)  # log(1 - p) of each sentence
+    total = np.minimum(np.bincount(owner, weights=log_clean, minlength=len(y)), -1e-12)
+    clean = np.exp(total)
+    value = -(weight * np.where(y == 1, np.log(np.maximum(1 - clean, 1e-12)), total)).sum() / len(y) + decay / 2 * (theta[:-1] ** 2).sum()
+    # d value / d z = p where the document is clean, -p * clean / (1 - clean) where it is toxic
+    slope = np.where(y == 1, -clean / np.maximum(1 - clean, 1e-9), 1.0) * weight
+    g_z = slope[owner] / (1 + np.exp(-z))
+    g = np.append(np.bincount(flat, weights=g_z[row], minlength=len(theta) - 1), g_z.sum()) / len(y)
+    g[:-1] += decay * theta[:-1]
+    return float(value), g
+
+
 def fit(texts: list[str], toxic: list[int], epochs: int = 300, rate: float = 0.1, decay: float = 2e-4) -> Model:
     """Noisy-or maximum likelihood by Adam; classes weigh the same, whatever their sizes.
 
@@ -108,15 +127,7 @@ def fit(texts: list[str], toxic: list[int], epochs: int = 300, rate: float = 0.1
     theta[-1] = -4.0
     m, v = np.zeros_like(theta), np.zeros_like(theta)
     for t in range(1, epochs + 1):
-        z = np.clip(np.add.reduceat(theta[flat], starts) + theta[-1], -30, 30)
-        log_clean = -np.logaddexp(0, z)  # log(1 - p) of each sentence
-        total = np.minimum(np.bincount(owner, weights=log_clean, minlength=len(y)), -1e-12)
-        # d loss / d z = p where the document is clean, -p * clean / (1 - clean) where it is toxic
-        clean = np.exp(total)
-        slope = np.where(y == 1, -clean / np.maximum(1 - clean, 1e-9), 1.0) * weight
-        g_z = slope[owner] / (1 + np.exp(-z))
-        g = np.append(np.bincount(flat, weights=g_z[row], minlength=len(index)), g_z.sum()) / len(y)
-        g[:-1] += decay * theta[:-1]
+        _, g = loss(theta, flat, starts, row, owner, y, weight, decay)
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         theta -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
     return Model({f: float(theta[i]) for f, i in index.items() if abs(theta[i]) > 1e-4}, float(theta[-1]))
@@ -127,27 +138,17 @@ def probability(model: Model, texts: list[str]) -> np.ndarray:
     return np.array([model.spans(t, known)[0] for t in texts])
 
 
-def train(docs: DataFrame, labels: DataFrame, max_docs: int = 4000, max_chars: int = 20_000_000, id_col: str = "doc_id", text_col: str = "text") -> Model:
-    """A model from at most ``max_docs`` labelled documents, and at most ``max_chars`` of text: half toxic ones where there are as many.
+def train(docs: DataFrame, labels: DataFrame, max_docs: int = 4000, id_col: str = "doc_id", text_col: str = "text") -> Model:
+    """A model from at most ``max_docs`` labelled documents, whole texts: half toxic ones where there are as many (``labelled_sample``).
 
-    The sample is drawn by a hash of the id, so it is the same on every run.  A fifth of
-    it is held out; the threshold is the score midway between the toxic and clean of that
+    A fifth of the sample is held out; the threshold is the score midway between the toxic and clean of that
     part if they part, else the one that errs least, each class weighing the same.
-    Labels that are NULL, or have no document with text, are left out.
     """
-    y = labels.where("toxic IN (0, 1) AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    text = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("text IS NOT NULL")
-    picked = None
-    for toxic in (1, 0):
-        few = y.where(F.col("toxic") == toxic).withColumn("h", F.xxhash64("doc_id")).orderBy("h", "doc_id").limit(max_docs // 2).drop("h")
-        picked = few if picked is None else picked.unionByName(few)
-    rows = text.join(F.broadcast(picked), "doc_id").dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").toLocalIterator()
-    texts, target, chars = [], [], 0
-    for r in rows:
-        if chars + len(r["text"]) <= max_chars:
-            chars += len(r["text"])
-            texts.append(r["text"])
-            target.append(int(r["toxic"]))
+    rows = labelled_sample(docs, labels, "toxic", max_docs // 2, id_col, text_col)
+    texts, target = [], []
+    for r in rows.toLocalIterator():
+        texts.append(r["text"])
+        target.append(int(r["y"]))
     held = [i for i in range(len(texts)) if i % 5 == 4]
     part = set(held)
     model = fit([t for i, t in enumerate(texts) if i not in part], [t for i, t in enumerate(target) if i not in part])
@@ -167,7 +168,7 @@ def offending_sentences(docs: DataFrame, model: Model, id_col: str = "doc_id", t
     ``span_start, span_end`` count code points from 0.  Offending are the sentences over the
     threshold themselves, or the highest one if only all together pass it.  Clean
     documents, NULL and empty texts give no rows; rows with NULL or repeated ids are
-    judged like any other.  Texts are read whole.  Other columns are ignored.
+    judged like any other.  Texts are read whole.  An empty table gives no rows.  Other columns, whatever their names, are ignored.
     """
     rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("text IS NOT NULL")
 
@@ -188,17 +189,21 @@ def offending_sentences(docs: DataFrame, model: Model, id_col: str = "doc_id", t
 
 
 def with_score(docs: DataFrame, model: Model, name: str = "toxicity", text_col: str = "text") -> DataFrame:
-    """``docs`` with the noisy-or score of each text; 0 for texts that are NULL or empty."""
+    """``docs`` with the noisy-or score of each text; 0 for texts that are NULL or empty. Each text is judged once, whatever uses the column."""
 
     @F.pandas_udf("double")
     def score(texts):
         known = model.memo()
         return texts.map(lambda t: float(model.spans(t, known)[0]) if t else 0.0)
 
-    return docs.withColumn(name, score(F.col(f"`{text_col}`")))
+    return docs.withColumn(name, score.asNondeterministic()(F.col(f"`{text_col}`")))
 
 
 def drop_toxic(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose score is not over the threshold; NULL and empty texts stay. Columns come back unchanged."""
+    """The rows of ``docs`` whose score is not over the threshold.
+
+    NULL and empty texts stay; texts of any length are read whole; NULL and repeated ids play no part, each row is
+    judged by its text; an empty table gives an empty table.  Columns come back unchanged, whatever their names.
+    """
     (name,) = fresh(docs, "toxicity")
     return with_score(docs, model, name, text_col).where(F.col(name) <= model.threshold).select(*[F.col(f"`{c}`") for c in docs.columns])
