@@ -3,7 +3,8 @@
 A document of n units is cut into whole pieces of ``2**max_log2`` units and then
 one piece for each set bit of the rest, longest first.  Pieces of one length form
 a bucket, so batches have a fixed shape and no sequence holds two documents.
-Narrow: scan, map, write; ``write.partitionBy("bucket")`` lays out the buckets.
+Each task gives its pieces bucket by bucket, longest first, so that equal lengths lie together in every file
+without a shuffle; ``write.partitionBy("bucket")`` makes a folder of each.
 """
 
 from __future__ import annotations
@@ -56,7 +57,7 @@ def pack_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", m
     an empty table; other columns are ignored.
     """
     rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
-    return rows.mapInArrow(lambda it: _emit(it, lambda c: c.to_pylist(), pa.string(), max_log2), SCHEMA)
+    return _by_bucket(rows.mapInArrow(lambda it: _emit(it, lambda c: c.to_pylist(), pa.string(), max_log2), SCHEMA))
 
 
 def pack_tokens(docs: DataFrame, id_col: str = "doc_id", token_col: str = "tokens", max_log2: int = MAX_LOG2) -> DataFrame:
@@ -68,7 +69,12 @@ def pack_tokens(docs: DataFrame, id_col: str = "doc_id", token_col: str = "token
         valid = column.is_valid().to_pylist()
         return (values[ends[i] : ends[i + 1]] if ok else None for i, ok in enumerate(valid))
 
-    return rows.mapInArrow(lambda it: _emit(it, arrays, pa.list_(pa.int32()), max_log2), SCHEMA.replace("piece string", "piece array<int>"))
+    return _by_bucket(rows.mapInArrow(lambda it: _emit(it, arrays, pa.list_(pa.int32()), max_log2), SCHEMA.replace("piece string", "piece array<int>")))
+
+
+def _by_bucket(pieces: DataFrame) -> DataFrame:
+    """Equal lengths next to one another within each task: an external sort on a small key, no exchange."""
+    return pieces.sortWithinPartitions(F.desc("bucket"))
 
 
 def bucket_totals(pieces: DataFrame, tokens_per_batch: int = 1 << 19) -> DataFrame:
