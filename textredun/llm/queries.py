@@ -53,6 +53,25 @@ def op4_simhash(spark, sf_dir):
     return all_pairs(documents(spark, sf_dir))
 
 
+_TWO64 = "18446744073709551616::UHUGEINT"
+_times = lambda a, b: f"(({a})::UHUGEINT * {b}::UHUGEINT % {_TWO64})::UBIGINT"
+_bits = lambda rows: f"SELECT doc_id, bit_or(CASE WHEN c * 2 > n THEN 1::UBIGINT << b::UBIGINT ELSE 0::UBIGINT END) AS x FROM (SELECT doc_id, b, sum(((h >> b::UBIGINT) & 1)::BIGINT) AS c, count(*) AS n FROM {rows}, range(64) AS r(b) GROUP BY doc_id, b) GROUP BY doc_id"
+_code = lambda w: f"('0x' || substr(md5({w}), 1, 16))::UBIGINT"
+# Every pair of documents is compared, without any tree.
+OP4_SQL = f"""
+WITH s AS (SELECT doc_id, w FROM (SELECT doc_id, regexp_extract_all(lower(text), '[\\p{{L}}\\p{{N}}_]+') AS w FROM documents WHERE doc_id IS NOT NULL AND text IS NOT NULL) WHERE len(w) > 0),
+single AS (SELECT doc_id, {_code("word")} AS h FROM (SELECT doc_id, unnest(list_distinct(w)) AS word FROM s)),
+p AS (SELECT doc_id, {_code("a")} AS a, {_code("b")} AS b, alone FROM (SELECT doc_id, w[i] AS a, coalesce(w[i + 1], '') AS b, len(w) = 1 AS alone FROM s, unnest(range(1, greatest(len(w) - 1, 1)::BIGINT + 1)) AS u(i))),
+x0 AS (SELECT doc_id, CASE WHEN alone THEN a ELSE (({_times("a", "11400714819323198485")})::UHUGEINT + b::UHUGEINT) % {_TWO64} END::UBIGINT AS x FROM p),
+x1 AS (SELECT doc_id, {_times("xor(x, x >> 30::UBIGINT)", "13787848793156543929")} AS x FROM x0),
+x2 AS (SELECT doc_id, {_times("xor(x, x >> 27::UBIGINT)", "10723151780598845931")} AS x FROM x1),
+pair AS (SELECT doc_id, xor(x, x >> 31::UBIGINT) AS h FROM x2),
+prints AS MATERIALIZED (SELECT doc_id, f.x AS fp, c.x AS confirm FROM ({_bits("single")}) f JOIN ({_bits("pair")}) c USING (doc_id))
+SELECT a.doc_id AS doc_a, b.doc_id AS doc_b, bit_count(xor(a.fp, b.fp))::INTEGER AS distance
+FROM prints a JOIN prints b ON a.doc_id < b.doc_id WHERE bit_count(xor(a.fp, b.fp)) <= 10 AND bit_count(xor(a.confirm, b.confirm)) <= 20
+"""
+
+
 def op5_bpe(spark, sf_dir):
     """Every document's tokens, and whether they decode to its text."""
     return bpe.encode(documents(spark, sf_dir), check=True)
@@ -149,4 +168,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_exact_dedup": OP1_SQL, "op2_sharding": OP2_SQL, "op6_warc": OP6_SQL, "op8_packing": OP8_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op2_sharding": OP2_SQL, "op4_simhash": OP4_SQL, "op6_warc": OP6_SQL, "op8_packing": OP8_SQL}

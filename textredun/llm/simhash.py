@@ -8,7 +8,8 @@ every branch; a 16-bit one is small enough for the triangle bound to prune.
 
 The upper levels of a tree are built on the driver from the counts of block values
 (65,536 at most for each tree, whatever the input) and split fingerprints into
-shards of equal weight.  Every fingerprint lives in one shard of each tree and
+shards of equal weight, the more of them the more fingerprints there are; a task
+searches one shard after the other.  Every fingerprint lives in one shard of each tree and
 visits each later shard that its ball may overlap.  Inside a shard the tree goes
 on, and leaves compare whole fingerprints.  The result is exact: all pairs within
 the radius, each once.
@@ -20,12 +21,13 @@ the square of a group.  ``near_pairs`` gives links with the smallest id instead.
 
 from __future__ import annotations
 
+import hashlib
 import itertools
+import math
 import re
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -33,7 +35,8 @@ from textredun.llm.common import Memo, cut_lineage, fresh, kept, mix64, offsets,
 
 RADIUS = 10
 CONFIRM = 20
-LEVELS = 6
+LEVELS = (6, 12)  # upper levels of a tree, at least and at most
+SHARD_ROWS = 20_000  # fingerprints that live in a shard, about
 BLOCKS, BLOCK_BITS = 4, 16
 WORD = re.compile(r"\w+")
 FINGERPRINT_SCHEMA = "doc_id bigint, fp bigint, confirm bigint"
@@ -45,6 +48,11 @@ def _lanes() -> np.ndarray:
     return np.ascontiguousarray(bits).view(np.uint64).ravel()
 
 
+def word_hash(word: str) -> int:
+    """The first eight bytes of a word's MD5 digest."""
+    return int.from_bytes(hashlib.md5(word.encode("utf-8", "surrogatepass"), usedforsecurity=False).digest()[:8], "big")
+
+
 def majority(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
     """SimHash of each run ``hashes[starts[i]:starts[i + 1]]``: bit b is set where over half of the hashes have it.
 
@@ -91,7 +99,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("doc_id IS NOT NULL AND text IS NOT NULL")
 
     def run(batches):
-        code = kept("word hashes", lambda: Memo(xxhash.xxh3_64_intdigest))
+        code = kept("word hashes", lambda: Memo(word_hash))
         for whole in batches:
             for b in (whole.slice(i, 1000) for i in range(0, whole.num_rows, 1000)):
                 fp, confirm, some = _fingerprints(b.column(1).to_pylist(), code)
@@ -200,13 +208,14 @@ def least_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
             return low
 
 
-def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int = LEVELS, forest: bool = False) -> DataFrame:
+def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int | None = None, forest: bool = False) -> DataFrame:
     """All pairs of distinct (``doc_id, fp, confirm``) rows within ``radius`` bits in ``fp`` and ``confirm`` bits in ``confirm``.
 
     Gives ``doc_a < doc_b, distance``.  ``folded`` is read twice: pass something materialised.
     With ``forest``, each shard gives only one link (distance NULL) for each document that
     its pairs connect to one with a smaller id: paths lead to the same documents, but the rows grow with the
-    documents, not with their pairs.
+    documents, not with their pairs.  ``levels`` of a tree make up to ``2**levels`` shards; by default
+    as many as leave about ``SHARD_ROWS`` fingerprints to each.
     """
     if not 0 <= radius < 64:
         raise ValueError("radius must be from 0 to 63")
@@ -216,6 +225,8 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
     weight = np.zeros((BLOCKS, 1 << BLOCK_BITS))
     for tree, value, n in tally:
         weight[tree, value] = n
+    if levels is None:
+        levels = min(LEVELS[1], max(LEVELS[0], math.ceil(math.log2(max(1, weight[0].sum() / SHARD_ROWS)))))
     targets, home_of, per_tree = [], [], []
     for tree in range(BLOCKS):
         home, visits = routes(weight[tree], block_radius, levels)
@@ -263,14 +274,23 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
         if held:
             yield drain()
 
-    def pairs(batches):
-        shards: dict[int, tuple[list, list]] = {}
+    none = np.empty(0, dtype=packed)
+
+    def one_by_one(batches):
+        """(shard, its home rows, its guests) of batches sorted by shard."""
+        at, held = None, ([], [])
         for b in batches:
             for s, guest, rows in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
-                shards.setdefault(s, ([], []))[guest].append(np.frombuffer(rows.as_buffer(), dtype=packed))
-        none = np.empty(0, dtype=packed)
-        for s in list(shards):
-            home, guest = (np.concatenate(x) if x else none for x in shards.pop(s))
+                if s != at and at is not None:
+                    yield at, *(np.concatenate(x) if x else none for x in held)
+                    held = ([], [])
+                at = s
+                held[guest].append(np.frombuffer(rows.as_buffer(), dtype=packed))
+        if at is not None:
+            yield at, *(np.concatenate(x) if x else none for x in held)
+
+    def pairs(batches):
+        for s, home, guest in one_by_one(batches):
             tree = int(np.searchsorted(base, s, side="right")) - 1
             both = np.concatenate([home, guest])
             low = np.arange(len(both))
@@ -297,7 +317,7 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
                 yield pa.RecordBatch.from_arrays([pa.array(least[linked]), pa.array(ids[linked]), pa.nulls(int(linked.sum()), pa.int32())], ["doc_a", "doc_b", "distance"])
 
     shards = folded.select("doc_id", "fp", "confirm").mapInArrow(route, "shard int, guest boolean, rows binary")
-    return shards.repartition(tasks_for(folded.sparkSession, int(base[-1])), "shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
+    return shards.repartition(tasks_for(folded.sparkSession, int(base[-1])), "shard").sortWithinPartitions("shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
 
 
 def fold(prints: DataFrame) -> DataFrame:
@@ -380,8 +400,8 @@ def components(edges: DataFrame) -> DataFrame:
 def near_dedup(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` less all but the smallest id of each group that near-duplicate pairs connect.
 
-    Rows without an id, text or word stay; so do rows that repeat the id that stays.
-    Columns come back unchanged.
+    Rows without an id, text or word stay; so do rows that repeat the id that stays.  Texts of any
+    length are read whole; an empty table gives an empty table.  Columns come back unchanged, whatever their names.
     """
     prints = cut_lineage(fingerprints(docs, id_col, text_col))
     folded = cut_lineage(fold(prints))
