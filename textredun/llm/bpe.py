@@ -184,7 +184,7 @@ def encode(docs: DataFrame, vocabulary: str = VOCABULARY, id_col: str = "doc_id"
     NULL texts have NULL tokens (and no count); an empty text has none.  Special tokens'
     strings are ordinary text.  A pre-token of any length is encoded whole.  NULL and repeated
     ids are kept as they come.  An empty table gives an empty table; other columns are ignored.
-    ``vocabulary`` is a file of ``base64(token) rank`` lines that the workers can read.
+    ``vocabulary`` is a file of ``base64(token) rank`` lines; the driver reads it and broadcasts its ranks.
     """
     rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
     spark = docs.sparkSession

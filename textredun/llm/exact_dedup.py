@@ -31,7 +31,7 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     Nulls: a row with a NULL text has no content to compare and stays; a NULL id
     counts as the largest, so any identified copy wins over it.  Empty texts
     equal each other (and texts of blanks only).  Rows that repeat with the same
-    id are copies: one stays.  An empty table gives an empty table.  All columns
+    id are copies: one stays.  Texts of any length are compared whole.  An empty table gives an empty table.  All columns
     come back unchanged, whatever their names.
     """
     norm, key, prefix, changed, before = fresh(docs, "norm", "digest", "prefix", "changed", "before")

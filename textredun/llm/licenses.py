@@ -149,7 +149,7 @@ def scan_licenses(docs: DataFrame, notices: dict[str, str] | None = None, share:
     """One row per place where a notice occurs within ``share`` of its length in edits.
 
     ``span_start, span_end`` count code points from 0; case and kinds of white space are no
-    edits.  NULL and empty texts give no rows; texts of any length are read whole; rows with NULL or
+    edits.  NULL and empty texts and empty tables give no rows; texts of any length are read whole; rows with NULL or
     repeated ids are scanned like any other.  Other columns are ignored.
     """
     notices = dict(NOTICES if notices is None else notices)

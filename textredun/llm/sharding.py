@@ -32,6 +32,7 @@ def assign_shards(docs: DataFrame, n_shards: int = 64, id_col: str = "doc_id", t
     are ordered by size, so the result does not depend on their order.  Documents
     of 0 bytes go where the next byte would; at the very end, to the last shard.
     An empty table, or one without any byte, has no cut: all rows go to shard 0.
+    Texts of any length are measured whole.  Other columns, whatever their names, are ignored.
     """
     if n_shards < 1:
         raise ValueError("n_shards must be positive")
