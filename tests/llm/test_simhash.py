@@ -121,3 +121,23 @@ def test_all_pairs_of_documents_equal_brute_force(spark, data):
     prints = [(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()]
     got = [tuple(r) for r in S.all_pairs(docs).collect()]
     assert len(got) == len(set(got)) and set(got) == brute(prints, S.RADIUS, S.CONFIRM)
+
+
+def test_more_shards_give_the_same_pairs(spark, data, monkeypatch):
+    """Shards grow with the fingerprints; a task takes one after the other."""
+    docs = spark.read.parquet(data("0.01") + "/documents.parquet")
+    want = {tuple(r) for r in S.all_pairs(docs).collect()}
+    monkeypatch.setattr(S, "SHARD_ROWS", 2)
+    assert {tuple(r) for r in S.all_pairs(docs).collect()} == want
+
+
+def test_shards_grow_with_the_tally(spark, monkeypatch):
+    seen = []
+    real = S.routes
+    monkeypatch.setattr(S, "routes", lambda weight, radius, levels: seen.append(levels) or real(weight, radius, min(levels, 3)))
+    rng = np.random.default_rng(0)
+    df = spark.createDataFrame([(i, int(x), 0) for i, x in enumerate(rng.integers(-(2**62), 2**62, 2000))], S.FINGERPRINT_SCHEMA)
+    for rows in (20_000, 10, 1):
+        monkeypatch.setattr(S, "SHARD_ROWS", rows)
+        S.near_fingerprints(df)
+    assert seen[::4] == [6, 8, 11]
