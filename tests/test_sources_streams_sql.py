@@ -85,3 +85,24 @@ def test_sql_functions(spark):
     grams = spark.sql("SELECT doc_id, gram, position FROM few, LATERAL ngrams(text, 'char', 3)").collect()
     assert len(grams) == 7 and grams[0].gram == "abc"
     assert {(r.c, r.v) for r in spark.sql("SELECT c, v FROM few, LATERAL spectrum(text, 'char', 3)").collect()} == {(3, 1), (2, 2)}
+
+
+def test_state_by_user_survives_batches(spark, tmp_path, data):
+    """Counts kept by user over several batches, and over a restart, are those of all events at once."""
+    events = spark.read.parquet(data("0.001") + "/events.parquet").select("user_id", "event_type", "ts", "value")
+    want = {r.user_id: (r.n_events, r.n_types, pytest.approx(r.moment)) for r in scoring.type_moment(events.groupBy("user_id").agg(F.count(F.lit(1)).alias("n_events"), F.sort_array(F.collect_list("event_type")).alias("types"))).collect()}
+    half = events.where("value < 50"), events.where("NOT value < 50 OR value IS NULL")
+    for part in half:
+        part.repartition(3).write.mode("append").parquet(f"{tmp_path}/in")
+        stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+        got = scoring.run_updates(scoring.user_moments(stream), f"{tmp_path}/u", ["user_id"])
+    assert {r.user_id: (r.n_events, r.n_types, r.moment) for r in got.collect()} == want
+    windows = scoring.run_updates(scoring.event_windows(spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in"), late="3650 days"), f"{tmp_path}/w", ["window_start", "user_id"])
+    assert sorted(map(str, windows.collect())) == sorted(map(str, scoring.event_windows(events).collect()))
+
+
+def test_first_of_each_content(spark, tmp_path):
+    rows = spark.createDataFrame([(1, "a", "2024-01-01 00:00:00"), (1, "a", "2024-01-01 00:01:00"), (2, "a", "2024-01-01 00:02:00")], "user_id int, event_type string, at string").withColumn("at", F.col("at").cast("timestamp"))
+    rows.write.parquet(f"{tmp_path}/in")
+    once = scoring.first_of_each(spark.readStream.schema(rows.schema).parquet(f"{tmp_path}/in"), ["user_id", "event_type"], "at", "1 day")
+    assert sorted((r.user_id, r.event_type) for r in scoring.run_to_files(once, f"{tmp_path}/o").collect()) == [(1, "a"), (2, "a")]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import math
 import os
 from functools import partial
@@ -14,6 +15,7 @@ from textredun.functions.signature import Ensemble, Setting, parse_signature, si
 from textredun.operators import corpus, measures, metrics, tasks, tuning
 from textredun.operators import spectrum as sp
 from textredun.sources import documents as src
+from textredun.sources import sinks
 from textredun.sources.shared import fresh_path
 from textredun.streaming import scoring as streaming
 
@@ -778,6 +780,34 @@ def derived_sql(docs: str) -> str:
     return f"WITH made AS ({docs}), {prof_sql(docs='SELECT doc_id, text FROM made')}\n{all_docs_sql(moment_sql(MOMENT6), 'made')}"
 
 
+def sink_by_verdict(spark, sf_dir):
+    """Documents written to a folder for each verdict and read back: how many there are of each, and their mean score."""
+    path = fresh_path(spark, "verdicts")
+    sinks.write_scored(partition_verdicts(spark, sf_dir), path, partition_by=("verdict",))
+    back = spark.read.parquet(path)
+    return rounded(back.groupBy("verdict").agg(F.count(F.lit(1)).alias("n_docs"), F.avg("score").alias("mean_score")), "mean_score")
+
+
+SINK_SQL = f"SELECT verdict, count(*) AS n_docs, round(avg(score) + 1e-10, 6) AS mean_score FROM ({VERDICT_SQL}) GROUP BY verdict"
+ROUND_TRIPS = ("parquet", "orc", "json", "csv")
+
+
+def source_formats(spark, sf_dir):
+    """Benchmark passages through each file format and the reader: their scores come out the same."""
+    rows = table(spark, sf_dir, "benchmark").select("item_id", "text")
+    parts = []
+    for name in ROUND_TRIPS:
+        path = fresh_path(spark, name)
+        rows.write.format(name).options(**({"header": True, "escape": '"'} if name == "csv" else {})).save(path)
+        docs = src.read_documents(spark, path, name, "item_id", "text", "item_id bigint, text string" if name in ("json", "csv") else None)
+        parts.append(metrics.score_documents(docs, MOMENT6).select(F.lit(name).alias("format"), "doc_id", "score"))
+    return rounded(functools.reduce(DataFrame.unionByName, parts), "score")
+
+
+FORMATS_SQL = f"""WITH made AS (SELECT item_id AS doc_id, text FROM benchmark), {prof_sql(docs="SELECT doc_id, text FROM made")}
+SELECT f AS format, doc_id, score FROM ({all_docs_sql(moment_sql(MOMENT6), "made")}), (SELECT unnest([{", ".join(repr(f) for f in ROUND_TRIPS)}]) AS f)"""
+
+
 # --- streams --------------------------------------------------------------------------------------------
 
 
@@ -938,6 +968,8 @@ NAMED = {
     "filter_corpus": (filter_corpus, FILTER_SQL),
     "partition_verdicts": (partition_verdicts, VERDICT_SQL),
     "threshold_versions": (threshold_versions, VERSIONS_SQL),
+    "sink_by_verdict": (sink_by_verdict, SINK_SQL),
+    "source_formats": (source_formats, FORMATS_SQL),
     "vocabulary_size": (vocabulary_size, None),
     "score_quantiles": (score_quantiles, None),
     "run_cost": (run_cost, None),
