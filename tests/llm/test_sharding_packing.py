@@ -2,7 +2,7 @@ import random
 
 from pyspark.sql import functions as F
 
-from textredun.llm import packing
+from textredun.llm import bpe, packing
 from textredun.llm.sharding import assign_shards, shard_sizes
 
 DOCS = "doc_id bigint, text string"
@@ -58,3 +58,17 @@ def test_token_arrays_are_packed_alike(spark):
     out = packing.pack_tokens(spark.createDataFrame(rows, "doc_id bigint, tokens array<int>"), max_log2=8).collect()
     assert sum((list(r.piece) for r in sorted((r for r in out if r.doc_id == 1), key=lambda r: r.piece_no)), []) == list(range(1000))
     assert {r.doc_id for r in out} == {1, 4} and all(len(r.piece) == r.length <= 256 for r in out)
+
+
+def test_encoding_and_packing_in_one_step(spark, data):
+    """As encoding first and packing its tokens after."""
+    docs = spark.read.parquet(data("0.001") + "/documents.parquet").unionByName(spark.createDataFrame([(None, "a b", "x", "x", 1), (5, None, "x", "x", 1), (6, "", "x", "x", 0)], "doc_id bigint, text string, lang string, source string, n_chars bigint"))
+    docs = docs.withColumn("tokens", F.lit("x"))
+    show = lambda df: sorted(map(str, df.collect()))
+    one = packing.pack_encoded(docs)
+    assert show(one) == show(packing.pack_tokens(bpe.encode(docs))) and one.count() > 500
+    assert packing.pack_encoded(docs.limit(0)).count() == 0
+    last = {}
+    for part, bucket in one.select(F.spark_partition_id(), "bucket").collect():
+        assert bucket <= last.get(part, 99)
+        last[part] = bucket

@@ -68,7 +68,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 class Memo(dict):
     """word -> value cache that computes what is missing and starts anew beyond ``limit`` entries."""
 
-    def __init__(self, compute, limit: int = 400_000):
+    def __init__(self, compute, limit: int = 150_000):
         super().__init__()
         self.compute, self.limit = compute, limit
 

@@ -13,6 +13,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textredun.llm.bpe import VOCABULARY, Bpe
+from textredun.llm.common import kept
+
 SCHEMA = "doc_id bigint, piece_no int, start bigint, length bigint, bucket int, piece string"
 MAX_LOG2 = 13
 
@@ -25,7 +28,7 @@ def binary_pieces(n: int, max_log2: int = MAX_LOG2) -> list[tuple[int, int]]:
     return out
 
 
-def _emit(batches, slicer, arrow_type, max_log2: int, flush: int = 20_000):
+def _emit(batches, slicer, arrow_type, max_log2: int, flush: int = 20_000, units: int = 4_000_000):
     names = ["doc_id", "piece_no", "start", "length", "bucket", "piece"]
     types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), arrow_type]
 
@@ -41,7 +44,7 @@ def _emit(batches, slicer, arrow_type, max_log2: int, flush: int = 20_000):
             for no, (start, log2) in enumerate(binary_pieces(len(value), max_log2)):
                 rows.append((key, no, start, 1 << log2, log2, value[start : start + (1 << log2)]))
                 held += 1 << log2
-                if len(rows) >= flush or held > 16_000_000:
+                if len(rows) >= flush or held > units:
                     yield batch(rows)
                     rows, held = [], 0
         if rows:
@@ -72,6 +75,22 @@ def pack_tokens(docs: DataFrame, id_col: str = "doc_id", token_col: str = "token
     return _by_bucket(rows.mapInArrow(lambda it: _emit(it, arrays, pa.list_(pa.int32()), max_log2), SCHEMA.replace("piece string", "piece array<int>")))
 
 
+def pack_encoded(docs: DataFrame, vocabulary: str = VOCABULARY, id_col: str = "doc_id", text_col: str = "text", max_log2: int = MAX_LOG2, cache: int = 200_000) -> DataFrame:
+    """As ``pack_tokens`` over the tokens of each text (``bpe.encode``), encoded and cut in one step, so one worker a core does both.
+
+    ``cache`` is how many pre-tokens a worker remembers.
+    """
+    rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
+    ranks = docs.sparkSession.sparkContext.broadcast(Bpe.load(vocabulary).ranks)
+
+    def run(batches):
+        bpe = kept(("bpe", vocabulary, cache), lambda: Bpe(ranks.value, cache=cache))
+        tokens = lambda texts: (None if t is None else bpe.encode_array(t) for t in texts.to_pylist())
+        yield from _emit((b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)), tokens, pa.list_(pa.int32()), max_log2)
+
+    return _by_bucket(rows.mapInArrow(run, SCHEMA.replace("piece string", "piece array<int>")))
+
+
 def _by_bucket(pieces: DataFrame) -> DataFrame:
     """Equal lengths next to one another within each task: an external sort on a small key, no exchange."""
     return pieces.sortWithinPartitions(F.desc("bucket"))

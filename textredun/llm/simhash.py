@@ -101,7 +101,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     def run(batches):
         code = kept("word hashes", lambda: Memo(word_hash))
         for whole in batches:
-            for b in (whole.slice(i, 1000) for i in range(0, whole.num_rows, 1000)):
+            for b in (whole.slice(i, 300) for i in range(0, whole.num_rows, 300)):
                 fp, confirm, some = _fingerprints(b.column(1).to_pylist(), code)
                 yield pa.RecordBatch.from_arrays([b.column(0).filter(pa.array(some)), pa.array(fp[some].view(np.int64)), pa.array(confirm[some].view(np.int64))], ["doc_id", "fp", "confirm"])
 
