@@ -12,7 +12,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from textredun.llm import bpe, exact_dedup, packing, quality, simhash, toxicity
+from textredun.llm import exact_dedup, packing, quality, simhash, toxicity
 from textredun.llm.common import documents, labels
 from textredun.sources.shared import fresh_path
 
@@ -39,7 +39,7 @@ def near_copies_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Power-of-two sequences of tokens, none of which crosses documents. NULL and empty texts give none; rows with a NULL or repeated id are packed like any other."""
-    return packing.pack_tokens(bpe.encode(docs))
+    return packing.pack_encoded(docs)
 
 
 STAGES = [
