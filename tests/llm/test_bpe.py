@@ -91,3 +91,17 @@ def test_edges_of_input(spark):
 def test_a_torn_character_becomes_the_replacement_sign(mine):
     ids = mine.encode("é🙂")
     assert "�" in mine.decode(ids[:-1] if len(ids) > 1 else ids) or len(ids) == 1
+
+
+def test_both_splitters_agree_on_plain_texts(mine):
+    """Every character that the standard library's matcher is trusted with, in several surroundings."""
+    plain = [chr(i) for i in range(0x10FFFF) if not 0xD800 <= i < 0xE000 and bpe.NOT_PLAIN(chr(i)) is None]
+    assert len(plain) > 500
+    for c in plain:
+        t = f"ab{c}{c} {c}7{c} '{c}s  {c}\n{c}  _{c}"
+        assert bpe.PLAIN_PRE_TOKEN(t) == mine.full_split(t), hex(ord(c))
+    rng = random.Random(1)
+    for _ in range(3000):
+        t = "".join(rng.choices(plain + [" ", "'", "s", "\n", "5"] * 40, k=40))
+        assert bpe.PLAIN_PRE_TOKEN(t) == mine.full_split(t)
+    assert mine.split("x²") == mine.full_split("x²") and bpe.NOT_PLAIN("x²")

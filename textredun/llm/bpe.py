@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import base64
 import itertools
+import re
 from heapq import heappop, heappush
 from pathlib import Path
 from struct import pack
@@ -27,11 +28,22 @@ from textredun.llm.common import Memo, kept
 VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 #: contractions, letters, digits, other signs (each with an optional blank before), white space
 PRE_TOKEN = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: the same in the terms of the standard library's matcher, which is faster, for texts without a character that the two see differently
+PLAIN_PRE_TOKEN = re.compile(r"'(?:[sdmt]|ll|ve|re)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+").findall
+NOT_PLAIN = re.compile("[\x1c-\x1f²³¹¼-¾\u0250-\u200f\u2028-\U0010ffff]").search
+LONG_PIECE = 64
 
 
 BIT = [1 << i for i in range(64)]
 
 
+class Pieces(Memo):
+    """A cache that keeps no long pieces."""
+
+    def __missing__(self, piece: str) -> bytes:
+        return self.compute(piece) if len(piece) > LONG_PIECE else super().__missing__(piece)
+
+
 class RankQueue:
     """Positions by rank; lowest rank first and, within a rank, lowest position first.
 
@@ -92,16 +104,21 @@ class Bpe:
         for token, rank in ranks.items():
             self.bytes_of[rank] = token
         self.single = [ranks[bytes([b])] for b in range(256)]
-        self.split = regex.compile(pattern).findall
+        self.full_split = regex.compile(pattern).findall
+        self.plain = pattern == PRE_TOKEN
         self.queue = RankQueue(self.size)
-        self.pair_rank = Memo(lambda pair: ranks.get(self.bytes_of[pair[0]] + self.bytes_of[pair[1]], -1), limit=1_000_000)
-        self.cached = Memo(self.packed_piece, limit=cache)
+        self.pair_rank = Memo(lambda pair: ranks.get(self.bytes_of[pair[0]] + self.bytes_of[pair[1]], -1), limit=250_000)
+        self.cached = Pieces(self.packed_piece, limit=cache)
 
     @classmethod
     def load(cls, path: str = VOCABULARY, **options) -> Bpe:
         lines = Path(path).read_bytes().split(b"\n")
         return cls({base64.b64decode(a): int(b) for a, b in map(bytes.split, filter(None, lines))}, **options)
 
+    def split(self, text: str) -> list[str]:
+        """Pre-tokens of a text."""
+        return PLAIN_PRE_TOKEN(text) if self.plain and NOT_PLAIN(text) is None else self.full_split(text)
+
     def encode_piece(self, piece: str) -> tuple[int, ...]:
         """Token ids of one pre-token."""
         raw = piece.encode()
@@ -110,8 +127,8 @@ class Bpe:
 
     def merge(self, raw: bytes) -> tuple[int, ...]:
         """Merges lowest rank first, leftmost first within a rank; the queue's steps are written out here, as calls would cost half the time."""
-        pair_rank, queue, bit = self.pair_rank, self.queue, BIT
-        buckets, words, groups = queue.buckets, queue.words, queue.groups
+        pair_rank, bit = self.pair_rank, BIT
+        buckets, words, groups, top = self.queue.buckets, self.queue.words, self.queue.groups, 0
         token = [self.single[b] for b in raw]
         n = len(token)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
@@ -120,19 +137,39 @@ class Bpe:
         new = [(r, i) for i, r in enumerate(rank_at) if r >= 0]
         while True:
             for r, i in new:
-                if r in buckets:
-                    queue.push(r, i)
-                else:
+                held = buckets.get(r)
+                if held is None:
                     buckets[r] = i
                     w = r >> 6
                     if not words[w]:
                         groups[w >> 6] |= bit[w & 63]
-                        queue.top |= bit[w >> 6]
+                        top |= bit[w >> 6]
                     words[w] |= bit[r & 63]
-            if not queue.top:
+                elif held.__class__ is list:
+                    heappush(held, i)
+                else:
+                    buckets[r] = [held, i] if held < i else [i, held]
+            if not top:
                 return tuple([t for t in token if t >= 0])
-            rank, i = queue.pop()
             new = ()
+            g = (top & -top).bit_length() - 1
+            group = groups[g]
+            w = g << 6 | (group & -group).bit_length() - 1
+            word = words[w]
+            rank = w << 6 | (word & -word).bit_length() - 1
+            i = buckets[rank]
+            if i.__class__ is list:
+                held = i
+                i = heappop(held)
+                if len(held) == 1:
+                    buckets[rank] = held[0]
+            else:
+                del buckets[rank]
+                words[w] = word = word & (word - 1)
+                if not word:
+                    groups[g] = group = group & (group - 1)
+                    if not group:
+                        top &= top - 1
             if rank_at[i] != rank:
                 continue  # stale: the pair has been merged away or changed
             j = after[i]
@@ -157,8 +194,7 @@ class Bpe:
 
     def encode_array(self, text: str) -> np.ndarray:
         """Token ids of a text as int32."""
-        cached = self.cached
-        return np.frombuffer(b"".join([cached[p] if len(p) <= 64 else self.packed_piece(p) for p in self.split(text)]), dtype=np.int32)
+        return np.frombuffer(b"".join(map(self.cached.__getitem__, self.split(text))), dtype=np.int32)
 
     def encode(self, text: str) -> list[int]:
         return self.encode_array(text).tolist()
