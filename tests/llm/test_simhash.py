@@ -1,3 +1,4 @@
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -95,25 +96,57 @@ def test_forest_connects_what_pairs_connect(spark):
     assert of(S.near_fingerprints(df, 6, 0)) == of(S.near_fingerprints(df, 6, 0, forest=True))
 
 
-def test_query_gives_all_pairs(spark, tmp_path):
-    """Copies and near copies of them, each member with each other one, against comparing all with all."""
+def classes(prints, radius=S.RADIUS, confirm=S.CONFIRM):
+    """(class, links) of each of the (id, fp, confirm) by comparing each with each."""
+    lead = {p: p for p in prints}
+
+    def top(p):
+        while lead[p] != p:
+            p = lead[p]
+        return p
+
+    near = {p: [q for q in prints if q != p and (p[1] ^ q[1]).bit_count() <= radius and (p[2] ^ q[2]).bit_count() <= confirm] for p in prints}
+    for p, others in near.items():
+        for q in others:
+            lo, hi = sorted((top(p), top(q)))
+            lead[hi] = lo
+    return {p: (top(p)[0], len(near[p])) for p in prints}
+
+
+def test_query_gives_classes_and_links(spark, tmp_path):
+    """Copies and near copies of them, a row for each document, against comparing all with all."""
     import __spark_entry__ as entry
 
     words = [f"word{i}" for i in range(200)]
     first, near, other = " ".join(words), " ".join([*words[:-1], "else"]), " ".join(f"other{i}" for i in range(50))
     texts = [other, first, near, first, near, first, None, near, first, "", other, near]
-    rows = [(100 - i, t) for i, t in enumerate(texts)] + [(100, other), (99, near), (60, first), (60, other)]
+    rows = [(100 - i, t) for i, t in enumerate(texts)] + [(100, other), (99, near), (60, first), (60, other), (None, first)]
     docs = spark.createDataFrame(rows, DOCS)
     docs.write.parquet(f"{tmp_path}/documents.parquet")
-    prints = [(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()]
-    want = {}
-    for a, b, h in brute(prints, S.RADIUS, S.CONFIRM):
-        if a != b:
-            want[a, b] = min(h, want.get((a, b), 64))
+    of = {i: (r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for i, t in enumerate(dict.fromkeys(t for _, t in rows if t)) for r in S.fingerprints(spark.createDataFrame([(i, t)], DOCS)).collect()}
+    of = dict(zip(dict.fromkeys(t for _, t in rows if t), of.values()))
+    known = classes({(i, *of[t]) for i, t in rows if t and i is not None})
+    want = [(i, *known[(i, *of[t])]) if t and i is not None else (i, i, 0) for i, t in rows]
     got = [tuple(r) for r in entry.queries()["op4_simhash"](spark, str(tmp_path)).collect()]
-    assert len(got) == len(set(got)) and set(got) == {(a, b, h) for (a, b), h in want.items()}
-    ids = lambda t: {i for i, x in rows if x == t}
-    assert {(a, b) for a, b, _ in got} >= {(a, b) for a in ids(first) for b in ids(near) | ids(first) if a < b}
+    assert sorted(got, key=str) == sorted(want, key=str) and max(n for *_, n in got) > 5 and len(got) == len(rows)
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert sorted(con.execute(entry.oracle_sql()["op4_simhash"]).fetchall(), key=str) == sorted(got, key=str)
+
+
+def test_classes_of_documents_equal_brute_force(spark, data):
+    docs = spark.read.parquet(data("0.01") + "/documents.parquet")
+    known = classes([(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()])
+    got = {r.doc_id: (r.class_id, r.n_links) for r in S.near_classes(docs).collect()}
+    assert {p[0]: c for p, c in known.items()} == {i: got[i] for i in {p[0] for p in known}} and len(got) == docs.count()
+    assert S.near_classes(docs.limit(0)).count() == 0
+
+
+def test_rows_grow_with_the_documents(spark):
+    """A group of copies has a row for each, not for each pair."""
+    docs = spark.createDataFrame([(i, "one and the same text of some words") for i in range(3000)], DOCS)
+    got = S.near_classes(docs).collect()
+    assert len(got) == 3000 and {(r.class_id, r.n_links) for r in got} == {(0, 2999)}
 
 
 def test_all_pairs_of_documents_equal_brute_force(spark, data):

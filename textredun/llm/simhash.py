@@ -15,8 +15,9 @@ on, and leaves compare whole fingerprints.  The result is exact: all pairs withi
 the radius, each once.
 
 Copies with one fingerprint are folded before the search, so a group of thousands
-costs as much as one document there.  ``all_pairs`` unfolds them again: its rows grow with
-the square of a group.  ``near_pairs`` gives links with the smallest id instead.
+costs as much as one document there.  ``near_classes`` gives a row per document, with its class and its number of links;
+``near_pairs`` gives links with the smallest id of a group.  ``all_pairs`` unfolds the groups: its rows grow with
+the square of a group.
 """
 
 from __future__ import annotations
@@ -94,15 +95,19 @@ def _fingerprints(texts: list[str | None], code: Memo) -> tuple[np.ndarray, np.n
     return majority(flat, starts), majority(pairs, pair_starts), lengths > 0
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, fp, confirm`` of each document that has an id and at least one word."""
-    rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).where("doc_id IS NOT NULL AND text IS NOT NULL")
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", whole: bool = False) -> DataFrame:
+    """``doc_id, fp, confirm`` of each document that has an id and at least one word; with ``whole`` of every row, NULL fingerprints for those without."""
+    rows = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
+    rows = rows if whole else rows.where("doc_id IS NOT NULL AND text IS NOT NULL")
 
     def run(batches):
         code = kept("word hashes", lambda: Memo(word_hash))
-        for whole in batches:
-            for b in (whole.slice(i, 300) for i in range(0, whole.num_rows, 300)):
+        for batch in batches:
+            for b in (batch.slice(i, 300) for i in range(0, batch.num_rows, 300)):
                 fp, confirm, some = _fingerprints(b.column(1).to_pylist(), code)
+                if whole:
+                    yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x.view(np.int64), mask=~some) for x in (fp, confirm))], ["doc_id", "fp", "confirm"])
+                    continue
                 yield pa.RecordBatch.from_arrays([b.column(0).filter(pa.array(some)), pa.array(fp[some].view(np.int64)), pa.array(confirm[some].view(np.int64))], ["doc_id", "fp", "confirm"])
 
     return rows.mapInArrow(run, FINGERPRINT_SCHEMA)
@@ -208,15 +213,18 @@ def least_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
             return low
 
 
-def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int | None = None, forest: bool = False) -> DataFrame:
+def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, levels: int | None = None, forest: bool = False, degrees: bool = False) -> DataFrame:
     """All pairs of distinct (``doc_id, fp, confirm``) rows within ``radius`` bits in ``fp`` and ``confirm`` bits in ``confirm``.
 
     Gives ``doc_a < doc_b, distance``.  ``folded`` is read twice: pass something materialised.
     With ``forest``, each shard gives only one link (distance NULL) for each document that
     its pairs connect to one with a smaller id: paths lead to the same documents, but the rows grow with the
-    documents, not with their pairs.  ``levels`` of a tree make up to ``2**levels`` shards; by default
+    documents, not with their pairs.  With ``degrees`` too, ``folded`` says in ``n`` how many documents a row stands for, and rows
+    ``doc_a`` with ``doc_b`` NULL give in ``distance`` how many documents the shard's pairs link to one of ``doc_a``.  ``levels`` of a tree make up to ``2**levels`` shards; by default
     as many as leave about ``SHARD_ROWS`` fingerprints to each.
     """
+    if degrees and not forest:
+        raise ValueError("degrees go with a forest")
     if not 0 <= radius < 64:
         raise ValueError("radius must be from 0 to 63")
     block_radius = radius // BLOCKS
@@ -238,7 +246,9 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
         per_tree.append(len(visits))
     base = np.concatenate([[0], np.cumsum(per_tree)])
     tables = folded.sparkSession.sparkContext.broadcast((targets, home_of))
-    packed = np.dtype([("id", "<i8"), ("fp", "<u8"), ("confirm", "<u8")])
+    columns = ["doc_id", "fp", "confirm", *(["n"] if degrees else [])]
+    packed = np.dtype([("id", "<i8"), ("fp", "<u8"), ("confirm", "<u8"), *([("n", "<i8")] if degrees else [])])
+    kinds = pa.schema([("doc_a", pa.int64()), ("doc_b", pa.int64()), ("distance", pa.int64() if degrees else pa.int32())])
 
     def route(batches):
         """Fingerprints of a task, gathered by shard into one block of bytes each: homes, then guests."""
@@ -256,6 +266,8 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
             rows["id"] = b.column(0).to_numpy()
             rows["fp"] = b.column(1).to_numpy().view(np.uint64)
             rows["confirm"] = b.column(2).to_numpy().view(np.uint64)
+            if degrees:
+                rows["n"] = b.column(3).to_numpy()
             for tree in range(BLOCKS):
                 value = ((rows["fp"] >> np.uint64(tree * BLOCK_BITS)) & np.uint64(0xFFFF)).astype(np.int64)
                 shard, starts = targets[tree]
@@ -293,9 +305,12 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
         for s, home, guest in one_by_one(batches):
             tree = int(np.searchsorted(base, s, side="right")) - 1
             both = np.concatenate([home, guest])
-            low = np.arange(len(both))
+            low, links = np.arange(len(both)), np.zeros(len(both), dtype=np.int64)
             for i, j in search(home["fp"], guest["fp"], tree, block_radius, radius):
                 ok = np.bitwise_count(both["confirm"][i] ^ both["confirm"][j]) <= confirm
+                if degrees:
+                    np.add.at(links, i[ok], both["n"][j[ok]])
+                    np.add.at(links, j[ok], both["n"][i[ok]])
                 if forest:
                     apart = low[i] != low[j]
                     if (ok & apart).any():
@@ -306,7 +321,7 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
                 if len(i):
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(np.minimum(i["id"], j["id"])), pa.array(np.maximum(i["id"], j["id"])), pa.array(np.bitwise_count(i["fp"] ^ j["fp"]).astype(np.int32))],
-                        ["doc_a", "doc_b", "distance"],
+                        schema=kinds,
                     )
 
             if forest and (low != np.arange(len(both))).any():
@@ -314,10 +329,12 @@ def near_fingerprints(folded: DataFrame, radius: int = RADIUS, confirm: int = CO
                 np.minimum.at(least, low, both["id"])
                 ids, least = both["id"], least[low]
                 linked = ids > least
-                yield pa.RecordBatch.from_arrays([pa.array(least[linked]), pa.array(ids[linked]), pa.nulls(int(linked.sum()), pa.int32())], ["doc_a", "doc_b", "distance"])
+                yield pa.RecordBatch.from_arrays([pa.array(least[linked]), pa.array(ids[linked]), pa.nulls(int(linked.sum()), kinds.field(2).type)], schema=kinds)
+            if (links > 0).any():
+                yield pa.RecordBatch.from_arrays([pa.array(both["id"][links > 0]), pa.nulls(int((links > 0).sum()), pa.int64()), pa.array(links[links > 0])], schema=kinds)
 
-    shards = folded.select("doc_id", "fp", "confirm").mapInArrow(route, "shard int, guest boolean, rows binary")
-    return shards.repartition(tasks_for(folded.sparkSession, int(base[-1])), "shard").sortWithinPartitions("shard").mapInArrow(pairs, "doc_a bigint, doc_b bigint, distance int")
+    shards = folded.select(*columns).mapInArrow(route, "shard int, guest boolean, rows binary")
+    return shards.repartition(tasks_for(folded.sparkSession, int(base[-1])), "shard").sortWithinPartitions("shard").mapInArrow(pairs, f"doc_a bigint, doc_b bigint, distance {'bigint' if degrees else 'int'}")
 
 
 def fold(prints: DataFrame) -> DataFrame:
@@ -397,6 +414,30 @@ def components(edges: DataFrame) -> DataFrame:
     return links.groupBy(F.col("v").alias("doc_id")).agg(F.min("u").alias("group_id"))
 
 
+def near_classes(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``doc_id, class_id, n_links`` of every row of ``docs``.
+
+    The class is the smallest id that near-duplicate pairs lead to, step by step, from the row's text; ``n_links``
+    counts the other documents in a pair with it, those of its own fingerprints too, so no link is lost, but none is a row:
+    the rows grow with the documents.  An id with several texts is a document for each of their fingerprints, and has a row
+    for each row it has in ``docs``.
+
+    Rows without an id, text or word are their own class and have no link.  A text of any length is read whole.  An empty
+    table gives an empty table.  Other columns are ignored.
+    """
+    prints = cut_lineage(fingerprints(docs, id_col, text_col, whole=True))
+    groups = prints.where("doc_id IS NOT NULL AND fp IS NOT NULL").groupBy("doc_id", "fp", "confirm").agg(F.count(F.lit(1)).alias("rows"))
+    # an id that leads several groups would join them: groups are numbered, and the number turned into the least id afterwards
+    folded = cut_lineage(groups.groupBy("fp", "confirm").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")).withColumn("doc_id", F.monotonically_increasing_id()))
+    found = cut_lineage(near_fingerprints(folded, radius, confirm, forest=True, degrees=True))
+    joined = components(found.where("doc_b IS NOT NULL")).withColumnRenamed("group_id", "lead")
+    far = found.where("doc_b IS NULL").groupBy(F.col("doc_a").alias("doc_id")).agg(F.sum("distance").alias("far"))
+    led = folded.join(joined, "doc_id", "left").withColumn("lead", F.coalesce("lead", "doc_id")).join(far, "doc_id", "left")
+    least = led.groupBy("lead").agg(F.min("least").alias("class_id"))
+    of = led.join(least, "lead").select("fp", "confirm", "class_id", (F.col("n") - 1 + F.coalesce("far", F.lit(0))).alias("n_links"))
+    return prints.join(of, ["fp", "confirm"], "left").select("doc_id", F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"), F.when(F.col("doc_id").isNotNull(), F.coalesce("n_links", F.lit(0))).otherwise(0).cast("bigint").alias("n_links"))
+
+
 def near_dedup(docs: DataFrame, radius: int = RADIUS, confirm: int = CONFIRM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` less all but the smallest id of each group that near-duplicate pairs connect.
 
