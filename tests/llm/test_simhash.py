@@ -149,6 +149,21 @@ def test_rows_grow_with_the_documents(spark):
     assert len(got) == 3000 and {(r.class_id, r.n_links) for r in got} == {(0, 2999)}
 
 
+@pytest.mark.parametrize("radius", [3, 10])
+def test_search_by_value_finds_what_all_with_all_finds(monkeypatch, radius):
+    rng = np.random.default_rng(4)
+    fp = rng.integers(0, 2**64, 900, dtype=np.uint64)
+    for i in range(300):
+        fp[i + 600] = fp[i] ^ np.uint64(sum(1 << int(b) for b in rng.choice(64, rng.integers(0, radius + 3), replace=False)))
+    calls = []
+    real = S.by_value
+    monkeypatch.setattr(S, "VALUE_COST", (0, 0))
+    monkeypatch.setattr(S, "by_value", lambda *a: calls.append(1) or real(*a, cells=500))
+    got = [(int(a), int(b)) for t in range(S.BLOCKS) for i, j in S.search(fp, fp[:0], t, radius // 4, radius, leaf=0) for a, b in zip(i, j)]
+    want = {(a, b) for a in range(900) for b in range(a + 1, 900) if int(fp[a] ^ fp[b]).bit_count() <= radius}
+    assert calls and len(got) == len(set(got)) and set(got) == want
+
+
 def test_all_pairs_of_documents_equal_brute_force(spark, data):
     docs = spark.read.parquet(data("0.01") + "/documents.parquet")
     prints = [(r.doc_id, r.fp & (2**64 - 1), r.confirm & (2**64 - 1)) for r in S.fingerprints(docs).collect()]

@@ -11,7 +11,8 @@ The upper levels of a tree are built on the driver from the counts of block valu
 shards of equal weight, the more of them the more fingerprints there are; a task
 searches one shard after the other.  Every fingerprint lives in one shard of each tree and
 visits each later shard that its ball may overlap.  Inside a shard the tree goes
-on, and leaves compare whole fingerprints.  The result is exact: all pairs within
+on while it prunes; where homes' own block values select fewer, each meets only the values within
+reach of its own (``by_value``), and leaves compare whole fingerprints.  The result is exact: all pairs within
 the radius, each once.
 
 Copies with one fingerprint are folded before the search, so a group of thousands
@@ -167,10 +168,12 @@ def routes(weight: np.ndarray, radius: int, levels: int) -> tuple[np.ndarray, li
 def search(home: np.ndarray, guest: np.ndarray, block: int, block_radius: int, radius: int, leaf: int = 1 << 18):
     """Yields (i, j) index arrays of pairs within ``radius``: home with a later home, or home with guest (j counted after the homes).
 
-    A pair whose blocks also agree in an earlier tree is left to that tree.
+    A pair whose blocks also agree in an earlier tree is left to that tree.  Where the tree does not go on, homes meet either all
+    that came with them or, if that is less work, only those whose block values lie within ``block_radius`` of their own.
     """
     both = np.concatenate([home, guest])
     part = ((both >> np.uint64(block * BLOCK_BITS)) & np.uint64(0xFFFF)).astype(np.uint16)
+    masks = masks_within(block_radius)
     todo = [(np.arange(len(home)), np.arange(len(both)))]
     while todo:
         h, q = todo.pop()
@@ -178,6 +181,13 @@ def search(home: np.ndarray, guest: np.ndarray, block: int, block_radius: int, r
             continue
         if len(h) * len(q) > leaf:
             values, counts = np.unique(part[h], return_counts=True)
+            if len(values) * (len(masks) * VALUE_COST[0] + VALUE_COST[1]) < len(h) * len(q):
+                there = np.bincount(part[q], minlength=1 << BLOCK_BITS)
+                meet = sum((counts[at : at + 256] * there[values[at : at + 256, None] ^ masks].sum(axis=1)).sum() for at in range(0, len(values), 256))
+                if meet + len(values) * (len(masks) * VALUE_COST[0] + VALUE_COST[1]) < 0.5 * len(h) * len(q):
+                    for i, j in by_value(both, part, h, q, masks, radius):
+                        yield from _own(both, i, j, block, block_radius)
+                    continue
             vantage = best_vantage(values, counts.astype(float))
             if vantage is not None:
                 v, mu = np.uint16(vantage[0]), vantage[1]
@@ -189,15 +199,50 @@ def search(home: np.ndarray, guest: np.ndarray, block: int, block_radius: int, r
         rows = max(1, (1 << 20) // len(q))
         for at in range(0, len(h), rows):
             some = h[at : at + rows]
-            x = both[some][:, None] ^ both[q][None, :]
-            a, b = np.nonzero(np.bitwise_count(x) <= radius)
-            i, j, x = some[a], q[b], x[a, b]
-            ok = j > i
-            for earlier in range(block + 1):
-                near = np.bitwise_count((x >> np.uint64(earlier * BLOCK_BITS)) & np.uint64(0xFFFF)) <= block_radius
-                ok &= near if earlier == block else ~near
-            if ok.any():
-                yield i[ok], j[ok]
+            a, b = np.nonzero(np.bitwise_count(both[some][:, None] ^ both[q][None, :]) <= radius)
+            yield from _own(both, some[a], q[b], block, block_radius)
+
+
+#: what a block value costs in ``by_value``, in comparisons: for each mask, and besides
+VALUE_COST = (40, 20_000)
+
+
+def masks_within(radius: int) -> np.ndarray:
+    """The block values of at most ``radius`` bits."""
+    values = np.arange(1 << BLOCK_BITS, dtype=np.uint16)
+    return values[np.bitwise_count(values) <= radius]
+
+
+def by_value(both: np.ndarray, part: np.ndarray, h: np.ndarray, q: np.ndarray, masks: np.ndarray, radius: int, cells: int = 1 << 20):
+    """Yields (i, j) of ``h`` and ``q`` within ``radius`` whose block values differ by one of ``masks``."""
+    h, q = h[np.argsort(part[h], kind="stable")], q[np.argsort(part[q], kind="stable")]
+    starts = np.searchsorted(part[q], np.arange((1 << BLOCK_BITS) + 1))
+    prints = both[q]
+    edges = np.flatnonzero(np.concatenate([[True], part[h][1:] != part[h][:-1], [True]]))
+    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist()):
+        near = (part[h[a]] ^ masks).astype(np.int64)
+        begin, n = starts[near], starts[near + 1] - starts[near]
+        begin, n = begin[n > 0], n[n > 0]
+        some = np.repeat(begin - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        if not len(some):
+            continue
+        theirs, rows = prints[some], max(1, cells // len(some))
+        for at in range(a, b, rows):
+            mine = h[at : min(b, at + rows)]
+            hit = np.flatnonzero(np.bitwise_count(both[mine][:, None] ^ theirs[None, :]) <= radius)
+            if len(hit):
+                yield mine[hit // len(some)], q[some[hit % len(some)]]
+
+
+def _own(both: np.ndarray, i: np.ndarray, j: np.ndarray, block: int, block_radius: int):
+    """Of close pairs those with i before j that this block's tree finds first."""
+    x = both[i] ^ both[j]
+    ok = j > i
+    for earlier in range(block + 1):
+        near = np.bitwise_count((x >> np.uint64(earlier * BLOCK_BITS)) & np.uint64(0xFFFF)) <= block_radius
+        ok &= near if earlier == block else ~near
+    if ok.any():
+        yield i[ok], j[ok]
 
 
 def least_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
