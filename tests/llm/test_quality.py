@@ -1,3 +1,4 @@
+import tracemalloc
 from collections import Counter
 
 import numpy as np
@@ -85,6 +86,19 @@ def test_statistics_equal_plain_counting(spark, data):
     assert np.allclose(Q.statistics_of(TEXTS[::-1]), Q.statistics_of(TEXTS)[::-1]) and Q.statistics_of([]).shape == (0, len(STAT))
 
 
+def test_long_texts_take_little_memory():
+    """A text of any length is read whole, one beyond a hashing step too, without tables that grow with it."""
+    text = "The word of line\nand " * 200_000 + "ünï 🙂 " * 3
+    Q.statistics_of(["x"])
+    tracemalloc.start()
+    got = Q.statistics_of([text])
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 50 * len(text), peak / len(text)
+    short = text[-400_000:]
+    assert np.allclose(Q.statistics_of([short]), [plain(short)], atol=1e-9) and got.shape == (1, len(STAT))
+
+
 def test_query_equals_plain_loops(spark, data):
     """op7 as registered, against statistics, trees and threshold one document at a time."""
     d = data("0.001")

@@ -70,6 +70,8 @@ def _kinds() -> np.ndarray:
 
 
 def _sums(flags: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    if len(ends) == 2:
+        return np.array([np.count_nonzero(flags)])
     run = np.concatenate([[0], np.cumsum(flags, dtype=np.int64)])
     return run[ends[1:]] - run[ends[:-1]]
 
@@ -88,24 +90,31 @@ BASE = 0x9E3779B97F4A7C15
 INVERSE = pow(BASE, -1, 1 << 64)
 
 
-def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of ``BASE`` and of its inverse, modulo 2**64; as many as were ever asked for."""
-    held = kept("powers", lambda: [np.ones(1, dtype=np.uint64), np.ones(1, dtype=np.uint64)])
-    if len(held[0]) < size:
-        for i, x in enumerate((BASE, INVERSE)):
-            steps = np.full(max(size, 1 << 18), x, dtype=np.uint64)
-            steps[0] = 1
-            held[i] = np.cumprod(steps, dtype=np.uint64)
+STEP = 1 << 18  # characters hashed at a time
+
+
+def _powers() -> tuple[np.ndarray, np.ndarray]:
+    """Powers of ``BASE`` and of its inverse, modulo 2**64, up to ``STEP``."""
+    held = []
+    for x in (BASE, INVERSE):
+        steps = np.full(STEP + 1, x, dtype=np.uint64)
+        steps[0] = 1
+        held.append(np.cumprod(steps, dtype=np.uint64))
     return held[0], held[1]
 
 
 def _hashes(codes: np.ndarray):
     """A function of (starts, ends) that gives 64-bit hashes of stretches: a polynomial in ``BASE``, from one running sum over all characters."""
-    powers, inverse = _powers(len(codes) + 1)
+    powers, inverse = kept("powers", _powers)
+    mixed = kept("character hashes", lambda: mix64(np.arange(1, 0x110001, dtype=np.uint64)))
+    far, back = (np.cumprod(np.array([1] + [x[STEP]] * (len(codes) // STEP), dtype=np.uint64), dtype=np.uint64) for x in (powers, inverse))
     run = np.empty(len(codes) + 1, dtype=np.uint64)
     run[0] = 0
-    np.cumsum(kept("character hashes", lambda: mix64(np.arange(1, 0x110001, dtype=np.uint64)))[codes] * powers[: len(codes)], out=run[1:])
-    return lambda a, b: (run[b] - run[a]) * inverse[a]
+    for i, at in enumerate(range(0, len(codes), STEP)):
+        some = codes[at : at + STEP]
+        np.cumsum(mixed[some] * (powers[: len(some)] * far[i]), out=run[at + 1 : at + 1 + len(some)])
+        run[at + 1 : at + 1 + len(some)] += run[at]
+    return lambda a, b: (run[b] - run[a]) * (inverse[a % STEP] * back[a // STEP])
 
 
 def _spread(lengths: np.ndarray, owner: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -119,7 +128,9 @@ def _spread(lengths: np.ndarray, owner: np.ndarray, count: np.ndarray) -> tuple[
 def _statistics(texts: list[str]) -> np.ndarray:
     codes, ends = kernel.code_points(texts)
     n, size = len(texts), np.diff(ends)
-    owner = np.repeat(np.arange(n), size)
+    if n == 1:  # a text of any length
+        codes = codes.astype(np.int32)
+    owner = np.repeat(np.arange(n), size) if n > 1 else np.zeros(len(codes), dtype=np.int8)
     out = np.zeros((n, len(STATISTICS)))
     put = lambda name, x: out.__setitem__((slice(None), list(STATISTICS).index(name)), x)
     table = kept("character kinds", _kinds)
@@ -143,7 +154,7 @@ def _statistics(texts: list[str]) -> np.ndarray:
     put("word_spread", spread)
     put("long_words", np.bincount(of_word[long > 15], minlength=n) / w)
     put("short_words", np.bincount(of_word[long < 4], minlength=n) / w)
-    within = lambda flag, a, b: (lambda run: run[b] - run[a])(np.concatenate([[0], np.cumsum(flag, dtype=np.int64)]))
+    within = lambda flag, a, b: (lambda run: run[b] - run[a])(np.concatenate([np.zeros(1, dtype=np.int32), np.cumsum(flag, dtype=np.int32)]))
     symbol, letter = (kind & SYMBOL) > 0, (kind & LETTER) > 0
     put("bare_words", np.bincount(of_word[within(letter, begin, stop) == 0], minlength=n) / w)
     put("marked_words", np.bincount(of_word[within(symbol, begin, stop) > 0], minlength=n) / w)
@@ -164,9 +175,14 @@ def _statistics(texts: list[str]) -> np.ndarray:
     put("digits", _sums((kind & DIGIT) > 0, ends) / c)
     put("capitals", _sums((kind & CAPITAL) > 0, ends) / c)
     put("blanks", _sums(blank, ends) / c)
-    ordered = np.sort(owner << 21 | codes)
-    first = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]])) if len(ordered) else np.zeros(0, dtype=np.int64)
-    times, of = np.diff(np.append(first, len(ordered))), ordered[first] >> 21
+    if n == 1:
+        times = sum(np.bincount(codes[at : at + STEP], minlength=0x110000) for at in range(0, max(len(codes), 1), STEP))
+        times = times[times > 0]
+        of = np.zeros(len(times), dtype=np.int64)
+    else:
+        ordered = np.sort(owner << 21 | codes)
+        first = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]])) if len(ordered) else np.zeros(0, dtype=np.int64)
+        times, of = np.diff(np.append(first, len(ordered))), ordered[first] >> 21
     put("entropy", np.where(size > 0, np.log(c) - np.bincount(of, weights=times * np.log(times), minlength=n) / c, 0.0))
     line_end = codes == 10
     at = np.flatnonzero(line_end | np.concatenate([starts_text[1:], [True]])) if len(codes) else np.zeros(0, dtype=np.int64)
