@@ -1,5 +1,7 @@
 """Queries against their SQL where rows can't be scored, or texts are long."""
 
+import random
+
 import duckdb
 import pytest
 
@@ -29,3 +31,10 @@ def test_labelled_texts_without_a_score(agree):
     """Texts too short to score are in no share of the curve."""
     docs = [(i, f"text number {i} with words {i * i} of its own " * (1 + i % 3), "en") for i in range(40)] + [(100 + i, "abc"[: i % 4], "en") for i in range(30)] + [(200, None, "en")]
     agree("threshold_curve", docs, [(d[0], int(d[0] % 5 > 0)) for d in docs])
+
+
+def test_clean_texts_longer_than_a_group_of_scored_ones(agree):
+    """More expected ranks than the texts of a group have."""
+    rng = random.Random(0)
+    words = ["".join(rng.choices("abcdefghijklmnop", k=9)) for _ in range(3000)]
+    agree("zipf_empirical", [(1, " ".join(words), "en"), (2, " ".join(words[:500]), "en"), (3, "abcd", "en"), (4, "", "en"), *((i, "short text " * i, "de") for i in range(5, 300))], [(i, 1) for i in range(1, 300)])
