@@ -3,8 +3,10 @@
 import random
 
 import duckdb
+import numpy as np
 import pytest
 
+from textredun.operators import metrics, spectrum
 from textredun.plans import workloads
 
 
@@ -38,3 +40,15 @@ def test_clean_texts_longer_than_a_group_of_scored_ones(agree):
     rng = random.Random(0)
     words = ["".join(rng.choices("abcdefghijklmnop", k=9)) for _ in range(3000)]
     agree("zipf_empirical", [(1, " ".join(words), "en"), (2, " ".join(words[:500]), "en"), (3, "abcd", "en"), (4, "", "en"), *((i, "short text " * i, "de") for i in range(5, 300))], [(i, 1) for i in range(1, 300)])
+
+
+def test_no_rank_is_left_out(spark):
+    """A text of 270,000 different n-grams, and one that is scored by all of their ranks."""
+    long = "".join(map(chr, range(0x20000, 0x20000 + 270_000)))
+    docs = spark.createDataFrame([(1, long), (2, "aab" + long[:1000])], "doc_id bigint, text string")
+    model = metrics.empirical_models(spectrum.spectra(docs, [("char", 1)]))[1].upto(300_000)
+    want = np.zeros(len(model.q))
+    want[:270_000] += 1 / 270_000 / 2
+    want[:1002] += np.array([2, *[1] * 1001]) / 1003 / 2
+    assert model.q == pytest.approx(want, rel=1e-12)
+    assert model.q[:3] == pytest.approx(metrics.RankModel(shares=want[:270_000].tolist()).upto(10).q[:3])
