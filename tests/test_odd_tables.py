@@ -6,7 +6,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from textredun.operators import metrics, spectrum
+from textredun.operators import metrics, spectrum, tuning
 from textredun.plans import workloads
 
 
@@ -52,3 +52,14 @@ def test_no_rank_is_left_out(spark):
     want[:1002] += np.array([2, *[1] * 1001]) / 1003 / 2
     assert model.q == pytest.approx(want, rel=1e-12)
     assert model.q[:3] == pytest.approx(metrics.RankModel(shares=want[:270_000].tolist()).upto(10).q[:3])
+
+
+def test_a_batch_holds_few_scores_of_a_large_grid(spark, monkeypatch):
+    """However many settings there are; the session's own batch size comes back."""
+    name, seen = "spark.sql.execution.arrow.maxRecordsPerBatch", []
+    usual = spark.conf.get(name)
+    monkeypatch.setattr(tuning, "written", lambda df, _: seen.append(int(spark.conf.get(name))) or spark.createDataFrame([], df.schema))
+    docs, labels = spark.createDataFrame([(1, "a b", "en")], "doc_id bigint, text string, lang string"), spark.createDataFrame([(1, 1)], "doc_id bigint, quality int")
+    settings = tuning.final_grid()
+    tuning.grid_results(docs, labels, settings)
+    assert 0 < seen[0] * len(settings) <= 1 << 21 and spark.conf.get(name) == usual
